@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
-from evenkeel.llm import simhash, toxicity
+from evenkeel.llm import bpe, mixing, pii, simhash, toxicity
 
 
 def queries() -> dict:
     return {
+        "op2_bpe": bpe.op2_bpe,
+        "op6_pii": pii.op6_pii,
+        "op8_mixing": mixing.op8_mixing,
         "op9_toxicity": toxicity.op9_toxicity,
         "op10_simhash": simhash.op10_simhash,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op8_mixing": mixing.OP8_SQL}
