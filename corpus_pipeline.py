@@ -1,10 +1,15 @@
-"""The corpus pipeline: five of the training-data operators, one after another."""
+"""The corpus pipeline: toxic documents go, one of each group of near copies stays,
+personal data get pseudonyms, sources are mixed to target weights, texts become tokens.
+
+Each stage takes and gives whole documents; the last gives doc_id, tokens, n_tokens and
+round_trip.  Models and hashes are not SQL, so there is no ORACLE_SQL.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from evenkeel.llm import _store, simhash, toxicity
+from evenkeel.llm import _store, bpe, mixing, pii, simhash, toxicity
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -15,7 +20,25 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     return simhash.deduplicate(docs)
 
 
-STAGES = [("toxicity", drop_toxic), ("simhash", drop_near_copies)]
+def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return pii.mask(docs)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return mixing.mix(docs, _store.table(spark, sf_dir, "labels"))
+
+
+def tokenise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return bpe.encode_documents(docs)
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("simhash", drop_near_copies),
+    ("pii", pseudonymise),
+    ("mixing", mix_sources),
+    ("bpe", tokenise),
+]
 ORACLE_SQL = None
 
 
