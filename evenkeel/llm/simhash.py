@@ -21,7 +21,7 @@ from itertools import product
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -34,8 +34,8 @@ BOXES, WIDTH = 16, 8
 class Settings:
     #: Most differing bits of 128; under 16, so that a chain can begin with an equal box.
     tau: int = 15
-    #: Boxes whose chains are checked after the join.
-    chain: int = 6
+    #: Lengths of the chains that are checked on joined rows, besides 8 and all 16.
+    chains: tuple[int, ...] = (4,)
     #: Boxes in the join key; None: by cost from the number of fingerprints.
     depth: int | None = None
 
@@ -91,33 +91,39 @@ def budget(length: int, tau: int) -> int:
 
 
 def error_patterns(depth: int, tau: int) -> list[int]:
-    """Masks over ``depth`` boxes, the first in the high bits, whose every prefix stays in
+    """Masks over ``depth`` boxes, the first in the low bits, whose every prefix stays in
     its budget."""
-    fields = [[m for m in range(1 << WIDTH) if m.bit_count() <= budget(depth, tau)]] * depth
+    fields = [m for m in range(1 << WIDTH) if m.bit_count() <= budget(depth, tau)]
     found: list[tuple[int, ...]] = [()]
     for at in range(depth):
-        found = [p + (m,) for p, m in product(found, fields[at]) if sum(x.bit_count() for x in p) + m.bit_count() <= budget(at + 1, tau)]
-    return [reduce(lambda a, m: a << WIDTH | m, p, 0) for p in found]
+        found = [p + (m,) for p, m in product(found, fields) if sum(x.bit_count() for x in p) + m.bit_count() <= budget(at + 1, tau)]
+    return [reduce(lambda a, m: a << WIDTH | m, reversed(p), 0) for p in found]
 
 
 def key_depth(n: int, tau: int) -> int:
-    """The depth with the least rows to make: probes plus chance matches.  Any depth finds
-    the same pairs."""
-    return min((1, 2, 3), key=lambda d: BOXES * len(error_patterns(d, tau)) * (n + n * n / 2 ** (WIDTH * d + 1)))
+    """The depth with the least work: probe rows to shuffle plus chance matches, of which
+    one costs a tenth of a row.  Any depth finds the same pairs."""
 
+    def cost(depth: int) -> float:
+        patterns = BOXES * len(error_patterns(depth, tau))
+        return patterns * (n / 2 + 0.1 * n * n / 2 ** (WIDTH * depth + 1))
 
-def _box(hi: Column, lo: Column, i: Column) -> Column:
-    i = F.pmod(i, F.lit(BOXES))
-    word = F.when(i < 8, hi).otherwise(lo)
-    return F.call_function("shiftrightunsigned", word, (F.pmod(i, F.lit(8)) * WIDTH).cast("int")).bitwiseAND(F.lit(255).cast("bigint"))
+    return min((1, 2, 3), key=cost)
 
 
-def _keyed(points: DataFrame, depth: int, name: str) -> DataFrame:
+def _turned(points: DataFrame, depth: int) -> DataFrame:
+    """16 rows a fingerprint: the ring turned so that each box in turn is the low byte of
+    ``x`` (the first 8 boxes; ``y`` has the other 8), with start and the first ``depth``
+    boxes in ``key``."""
     p = points.withColumn("start", F.explode(F.sequence(F.lit(0), F.lit(BOXES - 1))))
-    key = F.col("start").cast("bigint")
-    for k in range(depth):
-        key = F.shiftleft(key, WIDTH).bitwiseOR(_box(F.col("hi"), F.col("lo"), F.col("start") + k))
-    return p.select(key.alias("key"), F.col("hi").alias(f"{name}_hi"), F.col("lo").alias(f"{name}_lo"))
+    front = F.when(F.col("start") < 8, F.col("hi")).otherwise(F.col("lo"))
+    back = F.when(F.col("start") < 8, F.col("lo")).otherwise(F.col("hi"))
+    p = p.select("start", front.alias("f"), back.alias("b"), F.expr(f"(start % 8) * {WIDTH}").alias("r"))
+    x = F.expr("shiftrightunsigned(f, r) | shiftleft(shiftleft(b, 1), 63 - r)")
+    y = F.expr("shiftrightunsigned(b, r) | shiftleft(shiftleft(f, 1), 63 - r)")
+    p = p.select("start", x.alias("x"), y.alias("y"))
+    key = F.expr(f"shiftleft(cast(start as bigint), {WIDTH * depth}) | (x & {(1 << WIDTH * depth) - 1}L)")
+    return p.select(key.alias("key"), "x", "y")
 
 
 def near_pairs(points: DataFrame, n: int, settings: Settings = Settings()) -> DataFrame:
@@ -127,21 +133,27 @@ def near_pairs(points: DataFrame, n: int, settings: Settings = Settings()) -> Da
     if not 0 <= tau < BOXES:
         raise ValueError("tau must be under the number of boxes")
     depth = settings.depth or key_depth(n, tau)
-    left = _keyed(points, depth, "a")
-    masks = error_patterns(depth, tau)
-    right = _keyed(points, depth, "b")
-    right = right.withColumn("mask", F.explode(F.array(*[F.lit(m).cast("bigint") for m in masks]))).select(F.col("key").bitwiseXOR(F.col("mask")).alias("key"), "b_hi", "b_lo")
-    x_hi, x_lo = F.col("a_hi").bitwiseXOR(F.col("b_hi")), F.col("a_lo").bitwiseXOR(F.col("b_lo"))
-    ordered = (F.col("a_hi") < F.col("b_hi")) | ((F.col("a_hi") == F.col("b_hi")) & (F.col("a_lo") < F.col("b_lo")))
-    both = left.join(right, "key").where(ordered)
-    start = F.call_function("shiftright", F.col("key"), F.lit(WIDTH * depth))
-    chain = F.lit(True)
-    total = sum((F.bit_count(_box(x_hi, x_lo, start + k)) for k in range(depth)), F.lit(0))
-    for k in range(depth, settings.chain):
-        total = total + F.bit_count(_box(x_hi, x_lo, start + k))
-        chain = chain & (total <= budget(k + 1, tau))
-    full = F.bit_count(x_hi) + F.bit_count(x_lo) <= tau
-    return both.where(chain).where(full).select("a_hi", "a_lo", "b_hi", "b_lo").distinct()
+    low = (1 << WIDTH * depth) - 1
+    left = _turned(points, depth).select("key", F.col("x").alias("ax"), F.col("y").alias("ay"))
+    masks = F.array(*[F.lit(m).cast("bigint") for m in error_patterns(depth, tau)])
+    right = _turned(points, depth).withColumn("mask", F.explode(masks))
+    # Two keys that differ meet once: the one with a 0 in the lowest differing bit probes.
+    right = right.where("mask = 0 or (x & (mask & -mask)) = 0")
+    right = right.select(F.expr("key ^ mask").alias("key"), F.col("x").alias("bx"), F.col("y").alias("by"))
+    once = F.expr(f"((ax ^ bx) & {low}L) <> 0 or ax < bx or (ax = bx and ay < by)")
+    chains = [F.expr(f"bit_count((ax ^ bx) & {(1 << WIDTH * k) - 1}L) <= {budget(k, tau)}") for k in settings.chains if k > depth]
+    chains.append(F.expr(f"bit_count(ax ^ bx) <= {budget(8, tau)}"))
+    full = F.expr(f"bit_count(ax ^ bx) + bit_count(ay ^ by) <= {tau}")
+    found = left.join(right, "key").where(reduce(lambda p, q: p & q, [*chains, full, once]))
+    start = F.expr(f"cast(shiftright(key, {WIDTH * depth}) as int)")
+    back = found.withColumn("start", start).withColumn("r", F.expr(f"(start % 8) * {WIDTH}"))
+    for side in "ab":
+        f = F.expr(f"shiftleft({side}x, r) | shiftrightunsigned(shiftrightunsigned({side}y, 1), 63 - r)")
+        b = F.expr(f"shiftleft({side}y, r) | shiftrightunsigned(shiftrightunsigned({side}x, 1), 63 - r)")
+        back = back.withColumn(f"{side}f", f).withColumn(f"{side}b", b)
+        back = back.withColumn(side, F.when(F.col("start") < 8, F.struct(F.col(f"{side}f").alias("hi"), F.col(f"{side}b").alias("lo"))).otherwise(F.struct(F.col(f"{side}b").alias("hi"), F.col(f"{side}f").alias("lo"))))
+    pair = back.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    return pair.select(F.col("a.hi").alias("a_hi"), F.col("a.lo").alias("a_lo"), F.col("b.hi").alias("b_hi"), F.col("b.lo").alias("b_lo")).distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
