@@ -30,7 +30,7 @@ class Settings:
     most_toxic: int = 1500
     most_clean: int = 3000
     #: Most bytes of each sampled text used for fitting (scoring has no such bound).
-    fit_bytes: int = 1 << 16
+    fit_bytes: int = 1 << 15
     #: A word may get a weight if the likelihood ratio statistic of its documents'
     #: labels reaches this (twice the log of the ratio).
     least_evidence: float = 20.0
