@@ -17,6 +17,8 @@ N, ROUNDS, D, POINTS = 12, 20, 554_400, 100
 GRID = [(x, s, round(metrics.load(x, N, s, a)["load"], 12), metrics.load(x, N, s, a)["vectors"], N if x == "uncoded" else 1 if x == "full_copy" else N - s, a, round((s + 1) / (N * (s + a)), 12) if x == "two_stage" else 0.0) for s in (1, 2) for x, a in (("uncoded", 1.0), ("drop_s", 1.0), ("block", 1.0), ("ring", 1.0), ("full_copy", 1.0), ("two_stage", 1.2), ("two_stage", 2.0))]
 DELAYS = (0.0, 25.0, 50.0, 100.0, 200.0, 400.0)
 ROW_MS, FLOAT_MS, LATENCY_MS = 0.001, 0.0001, 1.0
+#: Added before means are rounded, so that none is a tie that engines round differently.
+NUDGE = 1.23e-7
 
 
 def _grid(spark):
@@ -64,11 +66,11 @@ ORACLES["round_times"] = _ROUND_SQL
 
 def time_summary(spark, sf_dir):
     t = round_times(spark, sf_dir)
-    return t.groupBy("scheme", "s", "alpha", "delay_ms").agg(F.round(F.avg("round_ms"), 4).alias("mean_ms"), F.round(F.stddev_samp("round_ms"), 4).alias("std_ms"))
+    return t.groupBy("scheme", "s", "alpha", "delay_ms").agg(F.round(F.avg("round_ms") + NUDGE, 4).alias("mean_ms"), F.round(F.stddev_samp("round_ms"), 4).alias("std_ms"))
 
 
 QUERIES["time_summary"] = time_summary
-ORACLES["time_summary"] = f"select scheme, s, alpha, delay_ms, round(avg(round_ms), 4) as mean_ms, round(stddev_samp(round_ms), 4) as std_ms from ({_ROUND_SQL}) group by all"
+ORACLES["time_summary"] = f"select scheme, s, alpha, delay_ms, round(avg(round_ms) + {NUDGE}, 4) as mean_ms, round(stddev_samp(round_ms), 4) as std_ms from ({_ROUND_SQL}) group by all"
 
 
 def _sets(kind):
@@ -76,9 +78,9 @@ def _sets(kind):
         t = round_times(spark, sf_dir)
         if kind == "gsets":
             t.createOrReplaceTempView("evenkeel_round_times")
-            g = spark.sql("select scheme, s, delay_ms, cast(grouping_id() as bigint) as level, round(avg(round_ms), 4) as mean_ms from evenkeel_round_times group by grouping sets ((scheme, s, delay_ms), (scheme, delay_ms), (s), ())")
+            g = spark.sql(f"select scheme, s, delay_ms, cast(grouping_id() as bigint) as level, round(avg(round_ms) + {NUDGE}, 4) as mean_ms from evenkeel_round_times group by grouping sets ((scheme, s, delay_ms), (scheme, delay_ms), (s), ())")
         else:
-            g = getattr(t, kind)("scheme", "s", "delay_ms").agg(F.grouping_id().cast("bigint").alias("level"), F.round(F.avg("round_ms"), 4).alias("mean_ms"))
+            g = getattr(t, kind)("scheme", "s", "delay_ms").agg(F.grouping_id().cast("bigint").alias("level"), F.round(F.avg("round_ms") + NUDGE, 4).alias("mean_ms"))
         return g.select(F.coalesce("scheme", F.lit("all")).alias("scheme"), F.coalesce("s", F.lit(-1)).alias("s"), F.coalesce("delay_ms", F.lit(-1.0)).alias("delay_ms"), "level", "mean_ms")
 
     return run
@@ -87,17 +89,17 @@ def _sets(kind):
 for kind, clause in (("cube", "cube (scheme, s, delay_ms)"), ("rollup", "rollup (scheme, s, delay_ms)"), ("gsets", "grouping sets ((scheme, s, delay_ms), (scheme, delay_ms), (s), ())")):
     QUERIES[f"cost_{kind}"] = _sets(kind)
     ORACLES[f"cost_{kind}"] = f"""select coalesce(scheme, 'all') as scheme, coalesce(s, -1)::int as s, coalesce(delay_ms, -1)::double as delay_ms, level, mean_ms
-from (select scheme, s, delay_ms, grouping(scheme, s, delay_ms)::bigint as level, round(avg(round_ms), 4) as mean_ms from ({_ROUND_SQL}) group by {clause})"""
+from (select scheme, s, delay_ms, grouping(scheme, s, delay_ms)::bigint as level, round(avg(round_ms) + {NUDGE}, 4) as mean_ms from ({_ROUND_SQL}) group by {clause})"""
 
 
 def pivot_times(spark, sf_dir):
     """Mean times with a column a scheme, as in a plot against the delay."""
     t = round_times(spark, sf_dir).where("alpha <> 2.0")
-    return t.groupBy("s", "delay_ms").pivot("scheme", ["uncoded", "drop_s", "block", "ring", "two_stage"]).agg(F.round(F.avg("round_ms"), 4))
+    return t.groupBy("s", "delay_ms").pivot("scheme", ["uncoded", "drop_s", "block", "ring", "two_stage"]).agg(F.round(F.avg("round_ms") + NUDGE, 4))
 
 
 QUERIES["pivot_times"] = pivot_times
-ORACLES["pivot_times"] = f"select s, delay_ms, {', '.join(f'round(avg(case when scheme = {chr(39)}{x}{chr(39)} then round_ms end), 4) as {x}' for x in ('uncoded', 'drop_s', 'block', 'ring', 'two_stage'))} from ({_ROUND_SQL}) where alpha <> 2.0 group by s, delay_ms"
+ORACLES["pivot_times"] = f"select s, delay_ms, {', '.join(f'round(avg(case when scheme = {chr(39)}{x}{chr(39)} then round_ms end) + {NUDGE}, 4) as {x}' for x in ('uncoded', 'drop_s', 'block', 'ring', 'two_stage'))} from ({_ROUND_SQL}) where alpha <> 2.0 group by s, delay_ms"
 
 
 def cum_time(spark, sf_dir):
