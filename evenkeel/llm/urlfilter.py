@@ -25,7 +25,7 @@ ORDER = 5
 @dataclass(frozen=True)
 class Settings:
     #: URLs whose host matches are the rejected examples, all others accepted ones.
-    rejected_hosts: str = r"(?i)://[^/]*(adult|porn|xxx|bets?\b|casino|poker|viagra|escort)"
+    rejected_hosts: str = r"(?i)://[^/]*(adult|porn|xxx|(?<![a-z])bets?(?![a-z])|casino|poker|viagra|escort)"
     least_context: int = 2
     #: Most grams a model may have; beyond it the rarest of the longest are left out.
     most_grams: int = 4_000_000
