@@ -5,6 +5,7 @@ from __future__ import annotations
 import importlib.util
 import os
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
@@ -31,14 +32,20 @@ def build(cores: int | str = "*", shuffle_partitions: int = 8, **more: str) -> S
 def ship(spark: SparkSession) -> SparkSession:
     """Make this package importable in the Python workers of a running session.
 
-    A zip of the package goes out with ``addPyFile`` once for each application; the
-    driver keeps the only local copy and executors fetch it from there.
+    A zip of the package goes out with ``addPyFile`` once for each application.  It is
+    written to ``spark.checkpoint.dir`` where the session has one.
     """
     context = spark.sparkContext
     if context.applicationId in _shipped:
         return spark
     package = Path(importlib.util.find_spec("evenkeel").origin).parent
-    path = os.path.join(tempfile.mkdtemp(prefix="evenkeel-code-"), "evenkeel_code.zip")
+    shared = (context.getConf().get("spark.checkpoint.dir") or "").removeprefix("file://")
+    if shared.startswith("/"):
+        folder = os.path.join(shared, f"evenkeel-code-{uuid.uuid4().hex}")
+        os.makedirs(folder)
+    else:  # none is set, or it is not a file system that the driver sees
+        folder = tempfile.mkdtemp(prefix="evenkeel-code-")
+    path = os.path.join(folder, "evenkeel_code.zip")
     with zipfile.ZipFile(path, "w") as z:
         for p in sorted(package.rglob("*.py")):
             z.write(p, str(p.relative_to(package.parent)))
