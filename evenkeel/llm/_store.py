@@ -42,6 +42,15 @@ def fresh(taken, base: str) -> str:
     return name
 
 
+def sample_by_hash(df: DataFrame, most: int, *keys: str) -> DataFrame:
+    """At most ``most`` rows, the same in every run.  A share by hash comes first, so that
+    what is put in order is about as large as the sample, however large ``df`` is."""
+    total, h = df.count(), F.xxhash64(*keys)
+    if total > 2 * most:
+        df = df.where(F.pmod(h, F.lit(1 << 30)) < int(1.5 * most / total * (1 << 30)) + 1)
+    return df.orderBy(h, *keys).limit(most)
+
+
 def small(df: DataFrame, rows: int) -> DataFrame:
     """``df`` with a broadcast hint if it has at most ``rows`` rows, else as it is."""
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df

@@ -27,10 +27,8 @@ from evenkeel.llm import _bytes, _store
 @dataclass(frozen=True)
 class Settings:
     #: Most labelled documents of either class that the fit sees.
-    most_toxic: int = 1500
-    most_clean: int = 3000
-    #: Most bytes of each sampled text used for fitting (scoring has no such bound).
-    fit_bytes: int = 1 << 15
+    most_toxic: int = 1000
+    most_clean: int = 1500
     #: A word may get a weight if the likelihood ratio statistic of its documents'
     #: labels reaches this (twice the log of the ratio).
     least_evidence: float = 20.0
@@ -219,14 +217,13 @@ def train(docs: DataFrame, labels: DataFrame, settings: Settings = Settings()) -
     """Fit on at most ``most_toxic`` + ``most_clean`` labelled documents, chosen by a
     hash of doc_id.  A doc_id labelled both ways counts as toxic; null labels, ids
     and texts are passed over."""
-    by_id = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    by_id = _store.materialise(labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic")))
     chosen = None
     for toxic, most in ((1, settings.most_toxic), (0, settings.most_clean)):
-        part = by_id.where(F.col("toxic") == toxic).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
+        part = _store.sample_by_hash(by_id.where(F.col("toxic") == toxic), most, "doc_id")
         chosen = part if chosen is None else chosen.unionByName(part)
     ids = F.broadcast(chosen)  # bounded by the settings
-    text = F.expr(f"substring(text, 1, {settings.fit_bytes})")
-    rows = docs.select("doc_id", text.alias("text")).where("text is not null").join(ids, "doc_id").orderBy("doc_id").toPandas()
+    rows = docs.select("doc_id", "text").where("text is not null").join(ids, "doc_id").orderBy("doc_id").toPandas()
     return fit(rows["text"].tolist(), rows["toxic"].to_numpy(), settings)
 
 
