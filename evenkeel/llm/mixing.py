@@ -23,6 +23,10 @@ from pyspark.sql import Window as W
 from evenkeel.llm import _store
 
 
+#: Sources up to which their budgets and cuts are broadcast; more are joined by source.
+MOST_BROADCAST = 50_000
+
+
 @dataclass(frozen=True)
 class Settings:
     #: Target weight by source; sources without one get (their share of tokens) ** temperature.
@@ -84,7 +88,7 @@ def plan(units: DataFrame, s: Settings = Settings()) -> DataFrame:
     budget = F.floor(F.round(F.col("weight") / F.sum("weight").over(everything), 9) * (F.sum("total").over(everything) * s.budget)).cast("bigint")
     budgets = weight.withColumn("budget", budget).withColumn("epochs", F.floor(F.col("budget") / F.col("total")).cast("bigint"))
     budgets = budgets.withColumn("rest", F.col("budget") - F.col("epochs") * F.col("total")).select("source", "total", "budget", "epochs", "rest")
-    held = F.broadcast(_store.materialise(budgets))
+    held = _store.small(_store.materialise(budgets), MOST_BROADCAST)
 
     spot = F.floor((1 - F.exp(-F.col("key") / 2)) * s.ranges).cast("bigint")  # grows with the key
     histogram = units.groupBy("source", spot.alias("spot")).agg(F.sum("tokens").alias("tokens"))
@@ -93,22 +97,24 @@ def plan(units: DataFrame, s: Settings = Settings()) -> DataFrame:
     # the range in which the running sum passes the rest, or the last one
     h = histogram.withColumn("before", before).alias("h").join(held.alias("b"), F.expr("h.source <=> b.source"))
     crossing = h.where("h.before <= b.rest").groupBy(F.col("h.source").alias("source")).agg(F.max(F.struct("h.spot", "h.before")).alias("x"), F.first("b.rest").alias("rest"))
-    crossing = F.broadcast(crossing.select(F.col("source").alias("c_source"), F.col("x.spot").alias("c_spot"), F.col("x.before").alias("c_before"), F.col("rest").alias("c_rest")))
+    crossing = crossing.select(F.col("source").alias("c_source"), F.col("x.spot").alias("c_spot"), F.col("x.before").alias("c_before"), F.col("rest").alias("c_rest"))
+    crossing = _store.small(_store.materialise(crossing), MOST_BROADCAST)
     inside = units.withColumn("spot", spot).join(crossing, F.expr("source <=> c_source and spot = c_spot"))
     in_order = W.partitionBy("source").orderBy("key", "id")
     upto = F.col("c_before") + F.sum("tokens").over(in_order)
     taken = inside.withColumn("upto", upto).where("upto <= c_rest").groupBy("source").agg(F.max(F.struct("key", "id")).alias("last"))
     # A range of which nothing fits still has all ranges before it: cut just under it.
-    t = held.alias("b").join(crossing, F.expr("b.source <=> c_source"), "left").join(F.broadcast(taken).alias("t"), F.expr("b.source <=> t.source"), "left")
-    return t.select("b.source", "b.total", "b.budget", "b.epochs", F.col("c_spot").alias("cut_spot"), F.col("t.last.key").alias("cut_key"), F.col("t.last.id").alias("cut_id"))
+    t = held.alias("b").join(crossing, F.expr("b.source <=> c_source"), "left").join(taken.alias("t"), F.expr("b.source <=> t.source"), "left")
+    cuts = t.select("b.source", "b.total", "b.budget", "b.epochs", F.col("c_spot").alias("cut_spot"), F.col("t.last.key").alias("cut_key"), F.col("t.last.id").alias("cut_id"))
+    return _store.small(_store.materialise(cuts), MOST_BROADCAST)
 
 
 def _copies(frame: DataFrame, cuts: DataFrame, key: Column, identity: Column, s: Settings, name: str) -> DataFrame:
     """``frame`` with how often each row is taken."""
     spot = F.floor((1 - F.exp(-key / 2)) * s.ranges).cast("bigint")
-    c = F.broadcast(cuts).select(F.struct("source", "epochs", "cut_spot", "cut_key", "cut_id").alias(name + "_cut"))
     cut = f"{name}_cut"
-    joined = frame.join(F.broadcast(c), F.col("source").eqNullSafe(F.col(f"{cut}.source")))
+    c = cuts.select(F.struct("source", "epochs", "cut_spot", "cut_key", "cut_id").alias(cut))
+    joined = frame.join(c, F.col("source").eqNullSafe(F.col(f"{cut}.source")))
     inside = (spot == F.col(f"{cut}.cut_spot")) & ((key < F.col(f"{cut}.cut_key")) | ((key == F.col(f"{cut}.cut_key")) & (identity <= F.col(f"{cut}.cut_id"))))
     extra = F.coalesce((spot < F.col(f"{cut}.cut_spot")) | inside, F.lit(False))
     return joined.withColumn(name, F.col(f"{cut}.epochs") + extra.cast("bigint")).drop(cut)
