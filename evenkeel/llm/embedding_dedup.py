@@ -109,7 +109,7 @@ def near_pairs(embeddings: DataFrame, s: Settings = Settings()) -> DataFrame:
     order.  Every vector is a query.
 
     Rows with null ids or with null, empty, zero or not finite vectors, or of another
-    dimension than the first, take no part; repeated rows of an id count once.
+    dimension than the largest, take no part; repeated rows of an id count once.
     """
     spark = embeddings.sparkSession
     proper = embeddings.select("vec_id", "embedding").where("vec_id is not null and size(embedding) > 0")
@@ -117,7 +117,7 @@ def near_pairs(embeddings: DataFrame, s: Settings = Settings()) -> DataFrame:
     if not head:
         return spark.createDataFrame([], "vec_a bigint, vec_b bigint, cosine double")
     vectors = proper.dropDuplicates(["vec_id"])
-    quantiser = spark.sparkContext.broadcast(learn(vectors, head, s))
+    quantiser = spark.sparkContext.broadcast(learn(proper, head, s))  # no shuffle in its passes
 
     @F.arrow_udf("bigint")
     def code(x: pa.Array) -> pa.Array:

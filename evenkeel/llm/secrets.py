@@ -235,7 +235,7 @@ def train(found: DataFrame, s: Settings = Settings()) -> Forest | None:
     """On labelled findings (``known`` 0 or 1); None without both classes."""
     parts = []
     for label in (0, 1):
-        own = found.where(F.col("known") == label).orderBy(F.xxhash64("doc_id", "start"), "doc_id", "start").limit(s.most_findings)
+        own = _store.sample_by_hash(found.where(F.col("known") == label), s.most_findings, "doc_id", "start")
         parts.append(own.select("known", "x"))
     rows = parts[0].unionByName(parts[1]).toPandas()
     if rows["known"].nunique() < 2:

@@ -28,7 +28,7 @@ class Settings:
     rejected_hosts: str = r"(?i)://[^/]*(adult|porn|xxx|(?<![a-z])bets?(?![a-z])|casino|poker|viagra|escort)"
     least_context: int = 2
     #: Most grams a model may have; beyond it the rarest of the longest are left out.
-    most_grams: int = 4_000_000
+    most_grams: int = 2_000_000
 
 
 def grams(urls: pa.Array) -> tuple[np.ndarray, np.ndarray]:
