@@ -28,9 +28,8 @@ MAGIC = 0x184D2A5D
 class Settings:
     level: int = 6
     dictionary_bytes: int = 64 << 10
-    #: Most records, and bytes of each, that the dictionary is built from.
+    #: Most records that the dictionary is built from.
     samples: int = 800
-    sample_bytes: int = 16 << 10
     records_per_file: int = 50_000
     date: str = "2024-01-01T00:00:00Z"
 
@@ -81,8 +80,7 @@ def _decompressor(raw: bytes) -> zstandard.ZstdDecompressor:
 def build_dictionary(pages: DataFrame, s: Settings = Settings()) -> bytes:
     """From at most ``samples`` records chosen by a hash of page_id and url; empty if
     there are too few to build one."""
-    chosen = pages.select("page_id", "url", "html").orderBy(F.xxhash64("page_id", "url"), "page_id", "url").limit(s.samples)
-    rows = chosen.select("page_id", "url", F.expr(f"substring(html, 1, {s.sample_bytes})").alias("html")).collect()
+    rows = _store.sample_by_hash(pages.select("page_id", "url", "html"), s.samples, "page_id", "url").collect()
     raw = [record(r.page_id, r.url, r.html, s.date) for r in rows]
     if len(raw) < 10:
         return b""
