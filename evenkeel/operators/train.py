@@ -54,35 +54,36 @@ def fit(samples: DataFrame, key: str, scheme, loss, optimizer: Optimizer, rounds
     p = len(optimizer.beta)
     kernel = kernel or gradient.kernel_for(p)
     first = 0 if kernel == "sparse" else 1
-    if isinstance(scheme, TwoStage):
+    staged = isinstance(scheme, TwoStage)
+    if staged:  # plain blocks first, then coded ones: both stages in one scan
+        n, k = scheme.n, scheme.n + scheme.code.inner.k
         placed = placement.assign_two_stage(samples, F.col(key), scheme.code)
-        parts = {"plain": (placed.where("stage = 'plain'"), scheme.n), "coded": (placed.where("stage = 'coded'"), scheme.code.inner.k)}
+        placed = placed.withColumn("block", F.col("block") + F.when(F.col("stage") == "coded", n).otherwise(0)).drop("stage")
     else:
-        parts = {"all": (placement.assign_blocks(samples, F.col(key), scheme.k), scheme.k)}
+        n = k = scheme.k
+        placed = placement.assign_blocks(samples, F.col(key), k)
     turn = F.pmod(hashing.md5_number(F.concat(F.lit("batch-"), F.col(key).cast("string"))), F.lit(batches))
-    held = {name: [(part if batches == 1 else part.where(turn == b)).persist() for b in range(batches)] for name, (part, _) in parts.items()}
-    rows = {name: [_counts(h, parts[name][1]) for h in hs] for name, hs in held.items()}
+    held = [(placed if batches == 1 else placed.where(turn == b)).persist() for b in range(batches)]
+    rows = [_counts(h, k) for h in held]
     trace, betas, total = [], [], 0.0
     try:
         for t in range(rounds):
-            at, b = optimizer.point(), t % batches
-            g = {name: _matrix(gradient.partial_gradients(hs[b], loss, at, kernel, columns), parts[name][1], p, first) for name, hs in held.items()}
+            b = t % batches
+            g = _matrix(gradient.partial_gradients(held[b], loss, optimizer.point(), kernel, columns), k, p, first)
             delays = stragglers.of_round(t, scheme.n)
-            if isinstance(scheme, TwoStage):
-                done = scheme.round(g["plain"], g["coded"], rows["plain"][b], rows["coded"][b], delays, costs)
+            if staged:
+                done = scheme.round(g[:n], g[n:], rows[b][:n], rows[b][n:], delays, costs)
             else:
-                done = scheme.round(g["all"], rows["all"][b], delays, costs)
-            exact = sum(x.sum(axis=0) for x in g.values())
-            d = sum(r[b].sum() for r in rows.values()) * (done.share or 1.0)
-            optimizer.step(done.gradient / max(d, 1.0))
+                done = scheme.round(g, rows[b], delays, costs)
+            exact = g.sum(axis=0)
+            optimizer.step(done.gradient / max(rows[b].sum() * (done.share or 1.0), 1.0))
             total += done.round_ms
             if keep_betas:
                 betas.append(optimizer.beta.copy())
             trace.append({"scheme": scheme.name, "round": t + 1, "round_ms": done.round_ms, "cum_ms": total, "used": len(done.used), "vectors": done.vectors, "control": done.control, "share": done.share, "residual": done.residual, "gradient_error": float(np.linalg.norm(done.gradient - exact) / max(np.linalg.norm(exact), 1e-300))})
     finally:
-        for hs in held.values():
-            for h in hs:
-                h.unpersist()
+        for h in held:
+            h.unpersist()
     return FitResult(optimizer.beta, trace, betas)
 
 
