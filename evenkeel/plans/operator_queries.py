@@ -234,3 +234,31 @@ def exists_bulk(spark, sf_dir):
 select m::bigint as mask, bit_count(m)::int as alive from generate_series(0, 63) t(m) where bit_count(m) = 4""")
 def alive_masks(spark, sf_dir):
     return spark.range(64).select(F.col("id").alias("mask"), F.bit_count("id").alias("alive")).where("alive = 4")
+
+
+@_q("select w::int as worker, ((w + j) % 6)::int as block from generate_series(0, 5) a(w), generate_series(0, 2) b(j)")
+def lateral_support(spark, sf_dir):
+    """Blocks of each worker by a lateral join."""
+    spark.range(6).createOrReplaceTempView("evenkeel_workers")
+    return spark.sql("select cast(id as int) as worker, cast((id + j) % 6 as int) as block from evenkeel_workers, lateral (select explode(sequence(0, 2)) as j)")
+
+
+@_q("""
+select event_type, sum((case when event_type = 'purchase' then -0.5 else 0.5 end) * (props::json ->> 'k')::int)::double as g_k,
+  sum((case when event_type = 'purchase' then -0.5 else 0.5 end) * hour(ts))::double as g_hour from events group by event_type""")
+def event_grad0(spark, sf_dir):
+    """First logistic gradient of purchases on event features, by kind of event."""
+    e = read(spark, sf_dir, "events").withColumn("k", F.from_json("props", "k int")["k"])
+    slope = 0.5 - (F.col("event_type") == "purchase").cast("double")
+    return e.groupBy("event_type").agg(F.sum(slope * F.col("k")).alias("g_k"), F.sum(slope * F.hour("ts")).alias("g_hour"))
+
+
+@_q("select 4::int as n, 6::int as k, true as ok, 3::int as most")
+def given_code(spark, sf_dir):
+    """A code of four workers and six blocks given as CSV rows: two copies of each half."""
+    from evenkeel.operators import codes, decode
+
+    lines = [f"{w},{b},1.0" for w in range(4) for b in range(6) if b // 3 == w % 2]
+    table = spark.createDataFrame([(x,) for x in lines], "line string").select(F.from_csv("line", codes.TRIPLETS).alias("t")).select("t.*")
+    code = codes.from_triplets(table, 4, 6, 1)
+    return spark.createDataFrame([(code.n, code.k, decode.span_check(code)[0], int(code.density().max()))], "n int, k int, ok boolean, most int")
