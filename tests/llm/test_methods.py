@@ -278,6 +278,37 @@ def test_urls_held_out(spark):
     assert np.mean([got[i] == good for i, _, good in rows]) > 0.97
 
 
+def _pages(spark, n):
+    rng = random.Random(11)
+    rows = [(i, f"https://{rng.choice(['casino', 'news'] if i % 3 == 0 else ['news', 'wiki'])}{rng.randint(1, 99)}.example.com/{rng.randint(1, 10**9)}") for i in range(n)]
+    return rows, spark.createDataFrame([*rows, rows[0], (n, None), (n + 1, "")], "page_id bigint, url string")
+
+
+@pytest.mark.parametrize("most", [0, 300])
+def test_url_scores_do_not_depend_on_the_plan(spark, most):
+    _, pages = _pages(spark, 400)
+    whole = sorted(urlfilter.judge(pages).collect())
+    joined = sorted(urlfilter.judge(pages, urlfilter.Settings(broadcast_grams=most)).collect())
+    assert len(whole) == len(joined) == 403
+    for a, b in zip(whole, joined, strict=True):
+        assert (a.page_id, a.accepted) == (b.page_id, b.accepted)
+        if a.score is None:
+            assert b.score is None and b.p_accept is None
+        else:
+            assert a.score == pytest.approx(b.score, abs=2e-6) and a.p_accept == pytest.approx(b.p_accept, abs=2e-6)
+
+
+def test_url_models_count_every_url(spark):
+    rows, pages = _pages(spark, 400)
+    s = urlfilter.Settings()
+    ratio = urlfilter.fit(pages, s)
+    urls = [u for _, u in [*rows, rows[0]]]
+    for model, flag in ((ratio.accepted, False), (ratio.rejected, True)):
+        own = [u for u in urls if u.startswith("https://casino") == flag]
+        g, n = np.unique(urlfilter.grams(pa.array(own))[0], return_counts=True)
+        assert (model.orders[-1][0] == g).all() and (model.orders[-1][1] == n).all()
+
+
 def test_secrets_held_out(spark):
     rng, hexes = random.Random(6), "0123456789abcdef"
     words = ["straightforwardness", "interconnectedness", "counterproductive", "telecommunications"]
