@@ -408,3 +408,40 @@ def test_audio_query_equals_pairwise(spark, small):
             exact.setdefault(prints[i].tobytes(), []).append(i)
     found = {r.doc_id for r in audio.op7_audio(spark, small).collect()}
     assert {i for g in exact.values() for i in g[1:]} <= found
+
+
+def test_audio_holds_against_all_earlier_ones(spark, small):
+    s = audio.Settings(block=3000)
+    docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
+    prints = {r.doc_id: np.array(r.prints, dtype=np.int32) for r in audio.fingerprints(docs, s).collect() if r.prints}
+    want = {}
+    for i in prints:
+        for j in prints:
+            if j < i:
+                offset, votes, error = audio.align(prints[j], prints[i])
+                if votes >= s.votes and error <= s.bit_error:
+                    want[i, j, offset] = votes
+    got = {(r.doc_id, r.anchor_id, r.offset): r.votes for r in audio.alignments(docs, s).collect()}
+    assert want and want.items() <= got.items()
+
+
+def test_audio_votes_are_not_lost_to_chance_holders(spark):
+    rng = np.random.default_rng(4)
+    words = ["".join(chr(97 + c) for c in rng.integers(0, 26, rng.integers(2, 11))) for _ in range(400)]
+    text = " ".join(rng.choice(words, 700))
+    parts = [text[k : k + 1400] for k in range(0, 2800, 700)]  # each integer of the text is in an earlier recording
+    rows = [*enumerate(parts), (50, text), (51, text), (60, "m" * 3000), (61, "m" * 3000)]
+    got = {(r.doc_id, r.anchor_id, r.offset) for r in audio.alignments(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert {(51, 50, 0), (61, 60, 0)} <= got
+
+
+def test_audio_long_recordings_are_counted_in_parts(monkeypatch):
+    rng = np.random.default_rng(6)
+    a, b = rng.integers(0, 5, 300).astype(np.int32), rng.integers(0, 5, 200).astype(np.int32)
+    block = audio.Block(np.array([1]), a, np.array([0, 300]))
+    whole = [np.concatenate(x) for x in zip(*audio.votes(block, np.array([2]), b, np.array([0, 200])), strict=True)]
+    monkeypatch.setattr(audio, "MOST_AT_ONCE", 500)
+    parts = [np.concatenate(x) for x in zip(*audio.votes(block, np.array([2]), b, np.array([0, 200])), strict=True)]
+    assert all((x == y).all() for x, y in zip(whole, parts, strict=True))
+    for offset, n in zip(whole[2], whole[3], strict=True):
+        assert n == sum(a[i + offset] == b[i] for i in range(200) if 0 <= i + offset < 300)
