@@ -82,17 +82,30 @@ def _card(m: str, f: Feistel) -> str | None:
     return _refill(m, body + luhn_digit(body))
 
 
+#: Ten digits in the usual three groups, or in one.
+_SHAPED = re.compile(r"(?:1[ .-]?)?(?:\(\d{3}\)[ .-]?|\d{3}[ .-])\d{3}[ .-]\d{4}")
+_UNDIVIDED = re.compile(r"1?\d{10}")
+#: Country code: digits that may follow it.
+_LENGTHS = {
+    "1": (10,), "7": (10,), "20": (9, 10), "27": (9,), "30": (10,), "31": (9,), "32": (8, 9), "33": (9,), "34": (9,), "36": (8, 9), "39": (9, 10), "41": (9,), "44": (9, 10), "45": (8,), "46": (8, 9), "47": (8,), "48": (9,), "49": (10, 11),
+    "52": (10,), "54": (10, 11), "55": (10, 11), "61": (9,), "64": (8, 9), "65": (8,), "81": (9, 10), "82": (9, 10), "86": (10, 11), "90": (10,), "91": (10,), "351": (9,), "353": (8, 9), "380": (9,), "420": (9,), "852": (8,), "886": (8, 9), "971": (8, 9), "972": (8, 9),
+}
+
+
 def _phone(m: str, f: Feistel) -> str | None:
     d = re.sub(r"\D", "", m)
     national = d[1:] if m.startswith("+1") or len(d) == 11 and d[0] == "1" else d
     if (m.startswith("+1") or not m.startswith("+")) and len(national) == 10:
         a, x, line = int(national[:3]), int(national[3:6]), int(national[6:])
-        if a < 200 or x < 200:
+        low = a < 200 or x < 200  # not given out, but what is written as a number is taken for one
+        if low and not m.startswith("+1") and not _SHAPED.fullmatch(m):
             return None
-        v = f(((a - 200) * 800 + x - 200) * 10000 + line, 800 * 800 * 10000, "nanp")
+        a0, x0 = (200 if a >= 200 else 0), (200 if x >= 200 else 0)
+        many, each = (800 if a0 else 200), (800 if x0 else 200)
+        v = f(((a - a0) * each + x - x0) * 10000 + line, many * each * 10000, f"nanp{a0}-{x0}" if low else "nanp")
         v, line = divmod(v, 10000)
-        a, x = divmod(v, 800)
-        return _refill(m, d[: len(d) - 10] + f"{a + 200:03}{x + 200:03}{line:04}")
+        a, x = divmod(v, each)
+        return _refill(m, d[: len(d) - 10] + f"{a + a0:03}{x + x0:03}{line:04}")
     if m.startswith("+") and 8 <= len(d) <= 15:
         n = len(d) - 2
         return _refill(m, d[:2] + str(f(int(d[2:]), 10**n, f"phone{d[:2]}")).zfill(n))
@@ -197,15 +210,54 @@ _PATTERN = re.compile("|".join(f"(?P<{k}>{p})" for k, (p, _) in KINDS.items()))
 _EACH = {k: re.compile(p) for k, (p, _) in KINDS.items()}
 
 
+#: Kinds whose pattern may run on into digits or words that follow a value.
+_MAY_RUN_ON = ("iban", "card", "phone")
+
+
+def _usual(kind: str, m: str) -> bool:
+    """Whether a value is as long as such values mostly are."""
+    d = re.sub(r"\D", "", m.replace("(0", "("))
+    if kind == "card":
+        return len(d) == (15 if d[:2] in ("34", "37") else 16)
+    if kind == "phone" and m.startswith("+"):
+        known = [k for k in (1, 2, 3) if d[:k] in _LENGTHS]
+        return not known or len(d) - known[0] in _LENGTHS[d[: known[0]]]
+    return True
+
+
+def _shorter(kind: str, m: str) -> list[str]:
+    """What a match can be cut to at a separator, longest first."""
+    out = []
+    for i in range(len(m) - 1, 0, -1):
+        if m[i] in " .-" and _EACH[kind].fullmatch(m[:i]):
+            if kind != "phone" or m[0] == "+" and m[i] == " " or _SHAPED.fullmatch(m[:i]) or m[i] == " " and _UNDIVIDED.fullmatch(m[:i]):
+                out.append(m[:i])
+    return out
+
+
+def _value(kind: str, text: str, start: int, feistel: Feistel) -> tuple[str, int] | None:
+    """Pseudonym and end of the value of a kind that starts there.  One of a usual length
+    goes before others, a longer one before a shorter one."""
+    own = _EACH[kind].match(text, start)
+    if not own:
+        return None
+    give, whole = KINDS[kind][1], own.group()
+    every = [whole, *_shorter(kind, whole)] if kind in _MAY_RUN_ON else [whole]
+    for m in sorted(every, key=lambda m: not _usual(kind, m)):
+        if (new := give(m, feistel)) is not None:
+            return new, start + len(m)
+    return None
+
+
 def pseudonymise(text: str, feistel: Feistel) -> tuple[str, int]:
     """The text with pseudonyms, and how many values were replaced."""
     out, at, count = [], 0, 0
     while m := _PATTERN.search(text, at):
         start = m.start()
-        for kind, (_, give) in KINDS.items():  # a value that fails one validation may be of another kind
-            if (own := _EACH[kind].match(text, start)) and (new := give(own.group(), feistel)) is not None:
-                out += [text[at:start], new]
-                at, count = own.end(), count + 1
+        for kind in KINDS:  # a value that fails one validation may be of another kind
+            if found := _value(kind, text, start, feistel):
+                out += [text[at:start], found[0]]
+                at, count = found[1], count + 1
                 break
         else:
             out.append(text[at : start + 1])

@@ -172,6 +172,30 @@ def test_pseudonyms_are_valid_and_linked():
     assert pii.pseudonymise("no 4495114827612973 2024-02-30 999.1.1.1 1.2.3", f) == ("no 4495114827612973 2024-02-30 999.1.1.1 1.2.3", 0)
 
 
+def test_pii_takes_low_area_codes():
+    f = pii.Feistel(b"key")
+    text = "+1 (017) 555-7713, (017) 555-7713, 017-555-7713, +1 (274) 155-9629"
+    new, n = pii.pseudonymise(text, f)
+    a, b, c, d = new.split(", ")
+    assert n == 4 and len(new) == len(text) and "7713" not in new and "9629" not in new
+    assert a[3:] == b and b.replace("(", "").replace(") ", "-") == c
+    assert a[4] in "01" and d[4] not in "01" and d[9] in "01"
+    seen = {pii._phone(f"+1 (0{k:02}) 555-0{x:03}", f) for k in range(100) for x in range(20)}
+    assert len(seen) == 2000 and pii.pseudonymise("the number 0175557713 of a run", f)[1] == 0
+
+
+@pytest.mark.parametrize(
+    "value, more",
+    [(v, m) for v in ("4111 1111 1111 1111", "4111-1111-1111-1111", "4111111111111111") for m in (" 12/25", " 123", " 12 and", " 123456")]
+    + [("212-555-0187", " 24 hours"), ("2125550187", " 24 hours"), ("+1 (212) 555-0187", " 24 hours"), ("+44 20 7946 0958", " 10 am"), ("DE89 3704 0044 0532 0130 00", " CARD")],
+)
+def test_pii_values_end_where_they_end(value, more):
+    f = pii.Feistel(b"key")
+    alone, n = pii.pseudonymise(value, f)
+    assert n == 1 and alone != value
+    assert pii.pseudonymise(f"to {value}{more}.", f) == (f"to {alone}{more}.", 1)
+
+
 def test_pii_query_equals_brute_force(spark, small):
     f = pii.Feistel(pii.Settings().key)
     docs = {r.doc_id: r.text for r in spark.read.parquet(f"{small}/documents.parquet").collect()}
