@@ -469,3 +469,12 @@ def test_audio_long_recordings_are_counted_in_parts(monkeypatch):
     assert all((x == y).all() for x, y in zip(whole, parts, strict=True))
     for offset, n in zip(whole[2], whole[3], strict=True):
         assert n == sum(a[i + offset] == b[i] for i in range(200) if 0 <= i + offset < 300)
+
+
+def test_audio_aligns_copies_of_any_length(spark):
+    rng, rows = random.Random(12), []
+    for k, n in enumerate((5, 30, 63, 64, 150, 255, 256, 700, 1215, 1216, 1407, 1408, 2000)):
+        text = "".join(rng.choice("abcdefghij klmnop") for _ in range(n))
+        rows += [(2 * k, text), (2 * k + 1, text)]
+    got = {(r.doc_id, r.anchor_id) for r in audio.alignments(spark.createDataFrame(rows, "doc_id bigint, text string")).where("offset = 0 and bit_error = 0").collect()}
+    assert {(2 * k + 1, 2 * k) for k in range(13)} <= got
