@@ -478,3 +478,13 @@ def test_audio_aligns_copies_of_any_length(spark):
         rows += [(2 * k, text), (2 * k + 1, text)]
     got = {(r.doc_id, r.anchor_id) for r in audio.alignments(spark.createDataFrame(rows, "doc_id bigint, text string")).where("offset = 0 and bit_error = 0").collect()}
     assert {(2 * k + 1, 2 * k) for k in range(13)} <= got
+
+
+def test_audio_finds_passages_of_different_recordings():
+    rng, s = np.random.default_rng(13), audio.Settings()
+    a, b = (rng.integers(-(2**31), 2**31, n).astype(np.int32) for n in (1000, 900))
+    b[100:140], b[600:650], b[700:730] = a[300:340], a[50:100], a[900:930]
+    block = audio.Block(np.array([1]), a, np.array([0, 1000]))
+    rows = [r for part in audio._against(block, np.array([2]), b, np.array([0, 900]), s) for r in zip(*part, strict=True)]
+    assert sorted((r[2], r[6], r[7]) for r in rows) == [(-550, 600, 50), (200, 100, 40), (200, 700, 30)]
+    assert all(r[5] > 0.4 and r[8] == 0 for r in rows)
