@@ -434,19 +434,67 @@ def test_audio_query_equals_pairwise(spark, small):
     assert {i for g in exact.values() for i in g[1:]} <= found
 
 
-def test_audio_holds_against_all_earlier_ones(spark, small):
-    s = audio.Settings(block=3000)
+def _every_pair(rows):
+    """(doc_id, anchor_id, offset) of all alignments: those of a group's least id hold for all of it."""
+    members, between = {}, set()
+    for r in rows:
+        if r.offset == 0 and r.bit_error == 0 and r.votes == r.overlap == r.frames:
+            members.setdefault(r.anchor_id, {r.anchor_id}).add(r.doc_id)
+        between.add((r.doc_id, r.anchor_id, r.offset))
+    out = {(x, y, 0) for g in members.values() for x in g for y in g if x > y}
+    for d, a, o in between:
+        for x in members.get(d, {d}):
+            for y in members.get(a, {a}):
+                out.add((x, y, o) if x > y else (y, x, -o))
+    return out
+
+
+@pytest.mark.parametrize("together", [300, 4_000_000])
+def test_audio_holds_against_all_earlier_ones(spark, small, together):
+    s = audio.Settings(together=together)
     docs = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
     prints = {r.doc_id: np.array(r.prints, dtype=np.int32) for r in audio.fingerprints(docs, s).collect() if r.prints}
-    want = {}
+    want = set()
     for i in prints:
         for j in prints:
             if j < i:
                 offset, votes, error = audio.align(prints[j], prints[i])
                 if votes >= s.votes and error <= s.bit_error:
-                    want[i, j, offset] = votes
-    got = {(r.doc_id, r.anchor_id, r.offset): r.votes for r in audio.alignments(docs, s).collect()}
-    assert want and want.items() <= got.items()
+                    want.add((i, j, offset))
+    assert want and want <= _every_pair(audio.alignments(docs, s).collect())
+
+
+def test_audio_recall_against_brute_force(spark):
+    s, docs = audio.Settings(), spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    prints = {r.doc_id: np.array(r.prints, dtype=np.int32) for r in audio.fingerprints(docs, s).collect() if len(r.prints) >= s.votes}
+    flat, owner = np.concatenate(list(prints.values())), np.repeat(list(prints), [len(p) for p in prints.values()])
+    order = np.lexsort((owner, flat))
+    flat, owner = flat[order], owner[order]
+    pairs = set()
+    for k in range(1, np.unique(flat, return_counts=True)[1].max()):  # all that share an integer
+        same = flat[k:] == flat[:-k]
+        pairs |= set(zip(owner[k:][same].tolist(), owner[:-k][same].tolist(), strict=True))
+    want = {(i, j) for i, j in pairs if i > j and any(len(r[0]) for r in audio.alignments_of(prints[i], prints[j], s))}
+    got = {(i, j) for i, j, _ in _every_pair(audio.alignments(docs, s).collect())}
+    assert len(want) > 50 and len(want & got) >= 0.9 * len(want)
+
+
+def test_audio_candidates_equal_brute_force(spark):
+    rng, s = np.random.default_rng(21), audio.Settings(together=2000)
+    lists = {i: rng.integers(0, 30, rng.integers(4, 60)).astype(np.int32) for i in range(80)}
+    lists[90] = np.full(50, 3, dtype=np.int32)  # the same landmarks again and again
+    marks = {i: {(g, *x[[k, k + g]].tolist()) for g in range(1, s.reach + 1) for k in range(len(x) - g)} for i, x in lists.items()}
+    want = {(i, j) for i in lists for j in lists if i > j and len(marks[i] & marks[j]) >= s.landmarks}
+    frame = spark.createDataFrame([(i, x.tolist()) for i, x in lists.items()], "rid bigint, prints array<int>")
+    got = [(r.doc_id, r.anchor_id) for r in audio.candidates(frame, s).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_audio_integers_do_not_depend_on_the_batch(small, spark):
+    texts = [r.text for r in spark.read.parquet(f"{small}/documents.parquet").orderBy("doc_id").limit(60).collect()]
+    flat, first = audio.fingerprints_of(*_bytes.buffers(pa.array(texts)))
+    for i, t in enumerate(texts):
+        assert (audio.fingerprint_pcm(np.frombuffer(t.encode(), np.uint8)) == flat[first[i] : first[i + 1]]).all()
 
 
 def test_audio_votes_are_not_lost_to_chance_holders(spark):
@@ -462,13 +510,12 @@ def test_audio_votes_are_not_lost_to_chance_holders(spark):
 def test_audio_long_recordings_are_counted_in_parts(monkeypatch):
     rng = np.random.default_rng(6)
     a, b = rng.integers(0, 5, 300).astype(np.int32), rng.integers(0, 5, 200).astype(np.int32)
-    block = audio.Block(np.array([1]), a, np.array([0, 300]))
-    whole = [np.concatenate(x) for x in zip(*audio.votes(block, np.array([2]), b, np.array([0, 200])), strict=True)]
-    monkeypatch.setattr(audio, "MOST_AT_ONCE", 500)
-    parts = [np.concatenate(x) for x in zip(*audio.votes(block, np.array([2]), b, np.array([0, 200])), strict=True)]
-    assert all((x == y).all() for x, y in zip(whole, parts, strict=True))
-    for offset, n in zip(whole[2], whole[3], strict=True):
+    for offset, n in zip(*audio.votes(b, a), strict=True):
         assert n == sum(a[i + offset] == b[i] for i in range(200) if 0 <= i + offset < 300)
+    whole = [np.concatenate(x) for x in zip(*audio.alignments_of(b, a), strict=True)]
+    monkeypatch.setattr(audio, "MOST_AT_ONCE", 500)
+    parts = [np.concatenate(x) for x in zip(*audio.alignments_of(b, a), strict=True)]
+    assert len(whole[0]) and all(sorted(x) == sorted(y) for x, y in zip(whole, parts, strict=True))
 
 
 def test_audio_aligns_copies_of_any_length(spark):
@@ -484,7 +531,6 @@ def test_audio_finds_passages_of_different_recordings():
     rng, s = np.random.default_rng(13), audio.Settings()
     a, b = (rng.integers(-(2**31), 2**31, n).astype(np.int32) for n in (1000, 900))
     b[100:140], b[600:650], b[700:730] = a[300:340], a[50:100], a[900:930]
-    block = audio.Block(np.array([1]), a, np.array([0, 1000]))
-    rows = [r for part in audio._against(block, np.array([2]), b, np.array([0, 900]), s) for r in zip(*part, strict=True)]
-    assert sorted((r[2], r[6], r[7]) for r in rows) == [(-550, 600, 50), (200, 100, 40), (200, 700, 30)]
-    assert all(r[5] > 0.4 and r[8] == 0 for r in rows)
+    rows = [r for part in audio.alignments_of(b, a, s) for r in zip(*part, strict=True)]
+    assert sorted((r[0], r[4], r[5]) for r in rows) == [(-550, 600, 50), (200, 100, 40), (200, 700, 30)]
+    assert all(r[3] > 0.4 and r[6] == 0 for r in rows)
