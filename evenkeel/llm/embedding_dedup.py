@@ -2,10 +2,17 @@
 
 Vectors are centred, turned to principal axes and by a rotation under which their signs
 are balanced bits with little loss; the rotation is learned from all vectors, each step
-needing only one matrix sum over them.  Codes are cut into substrings; codes within
-``radius`` bits agree in some substring up to ``radius // tables`` bits and are found
-by an equi-join on (table, substring) with every such error pattern.  What is within
-``radius`` is reranked by the cosine of the original vectors.
+needing only one matrix sum over them.  Codes are cut into substrings, each with a table of
+its own; an equi-join on (table, substring) with every error pattern of up to
+``substring_radius`` bits finds the pairs of a table.  What is within the Hamming radius of
+that code is reranked by the cosine of the original vectors.
+
+A search for all codes within a radius of a fourth of the bits would look at most pairs
+there are.  So the tables are made for the pairs that are asked for: substrings have about
+log2(n) bits, so that candidates grow with the number n of vectors and not with its square,
+and there are as many tables as find a pair at the least cosine with probability ``recall``
+(from more than one code, each with a rotation of its own, where one has not enough bits).
+The share of bits in which such a pair differs follows from its angle after centring.
 """
 
 from __future__ import annotations
@@ -13,6 +20,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import dataclass
 from itertools import combinations
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -25,24 +33,52 @@ from evenkeel.llm import _store
 @dataclass(frozen=True)
 class Settings:
     cosine: float = 0.95
-    #: Bits of a code (at most 63 and the vectors' dimension), and Hamming search radius.
+    #: Bits of a code (at most 63 and the vectors' dimension), and the least Hamming radius;
+    #: it grows with the bits in which pairs at ``cosine`` differ.
     bits: int = 60
     radius: int = 15
     #: Most differing bits that a substring may have to be a candidate.
     substring_radius: int = 1
-    #: Bits of a substring; more for more vectors.
+    #: Least bits of a substring; more for more than 2 ** substring_bits vectors.
     substring_bits: int = 15
+    #: Probability with which a pair at ``cosine`` is to be found.
+    recall: float = 0.98
     iterations: int = 8
     seed: int = 7
 
 
+@dataclass(frozen=True)
+class Tables:
+    """How codes are searched: bits of a substring, substrings of a code, codes, radius."""
+
+    width: int
+    each: int
+    codes: int
+    radius: int
+
+
+def plan(n: int, bits: int, centred: float, s: Settings) -> Tables:
+    """``centred``: the mean square length of the centred vectors of length 1."""
+    angle = np.arccos(np.clip(1 - (1 - s.cosine) / max(centred, 1e-9), -1, 1))
+    p = min(float(angle / np.pi), 0.4)  # beyond it a code says next to nothing
+    width = min(bits, max(s.substring_bits, int(np.ceil(np.log2(max(n, 2))))))
+    hit = sum(comb(width, k) * p**k * (1 - p) ** (width - k) for k in range(s.substring_radius + 1))
+    tables = max(1, int(np.ceil(np.log(1 - s.recall) / np.log1p(-hit))) if hit < 1 else 1)
+    each = max(1, bits // width)
+    return Tables(width, each, -(-tables // each), max(s.radius, int(np.ceil(bits * p + 3 * np.sqrt(bits * p * (1 - p))))))
+
+
 @dataclass
 class Quantiser:
     mean: np.ndarray
-    axes: np.ndarray  # (dimension, bits), the principal axes times the rotation
-
-    def codes(self, x: np.ndarray) -> np.ndarray:
-        bits = ((x - self.mean) @ self.axes) > 0
+    #: For each code (dimension, bits), the principal axes times its rotation.
+    axes: list[np.ndarray]
+    #: Number of vectors, and mean square length of the centred ones.
+    n: int
+    centred: float
+
+    def codes(self, x: np.ndarray, which: int = 0) -> np.ndarray:
+        bits = ((x - self.mean) @ self.axes[which]) > 0
         return bits @ (np.int64(1) << np.arange(bits.shape[1], dtype=np.int64))
 
 
@@ -80,7 +116,8 @@ def _sums(frame: DataFrame, dimension: int, rows: int, columns: int, part) -> np
     return out.reshape(rows, columns)
 
 
-def learn(vectors: DataFrame, dimension: int, s: Settings = Settings()) -> Quantiser:
+def learn(vectors: DataFrame, dimension: int, s: Settings = Settings()) -> tuple[Quantiser, Tables]:
+    """The codes and how to search them; all rotations are learned in the same passes."""
     bits = min(s.bits, 63, dimension)
 
     def moments(x: np.ndarray) -> np.ndarray:
@@ -90,18 +127,23 @@ def learn(vectors: DataFrame, dimension: int, s: Settings = Settings()) -> Quant
     m = _sums(vectors, dimension, dimension + 1, dimension + 1, moments)
     n = max(m[-1, -1], 1.0)
     mean = m[-1, :-1] / n
+    centred = float(np.trace(m[:-1, :-1]) / n - mean @ mean)
+    tables = plan(int(n), bits, centred, s)
     _, axes = np.linalg.eigh(m[:-1, :-1] / n - np.outer(mean, mean))
     axes = axes[:, ::-1][:, :bits]
-    rotation = np.linalg.qr(np.random.default_rng(s.seed).standard_normal((bits, bits)))[0]
+    rng = np.random.default_rng(s.seed)
+    rotations = [np.linalg.qr(rng.standard_normal((bits, bits)))[0] for _ in range(tables.codes)]
     for _ in range(s.iterations if n > 1 else 0):
-        turned = axes @ rotation
+        turned = [axes @ r for r in rotations]
 
         def agreement(x: np.ndarray, turned=turned) -> np.ndarray:
-            return np.where((x - mean) @ turned > 0, 1.0, -1.0).T @ ((x - mean) @ axes)
+            y = x - mean
+            return np.concatenate([np.where(y @ t > 0, 1.0, -1.0).T for t in turned]) @ (y @ axes)
 
-        u, _, vt = np.linalg.svd(_sums(vectors, dimension, bits, bits, agreement))
-        rotation = (u @ vt).T
-    return Quantiser(mean, axes @ rotation)
+        both = _sums(vectors, dimension, bits * tables.codes, bits, agreement).reshape(tables.codes, bits, bits)
+        u, _, vt = np.linalg.svd(both)
+        rotations = [(a @ b).T for a, b in zip(u, vt, strict=True)]
+    return Quantiser(mean, [axes @ r for r in rotations], int(n), centred), tables
 
 
 def near_pairs(embeddings: DataFrame, s: Settings = Settings()) -> DataFrame:
@@ -109,33 +151,37 @@ def near_pairs(embeddings: DataFrame, s: Settings = Settings()) -> DataFrame:
     order.  Every vector is a query.
 
     Rows with null ids or with null, empty, zero or not finite vectors, or of another
-    dimension than the largest, take no part; repeated rows of an id count once.
+    dimension than the commonest (of equally common ones the larger), take no part.  An id
+    counts once, with the least of its vectors.  Other columns are ignored.
     """
     spark = embeddings.sparkSession
     proper = embeddings.select("vec_id", "embedding").where("vec_id is not null and size(embedding) > 0")
-    head = proper.select(F.size("embedding").alias("n")).agg(F.max("n")).first()[0]
-    if not head:
+    common = proper.groupBy(F.size("embedding").alias("d")).count().orderBy(F.desc("count"), F.desc("d")).first()
+    if not common:
         return spark.createDataFrame([], "vec_a bigint, vec_b bigint, cosine double")
-    vectors = proper.dropDuplicates(["vec_id"])
-    quantiser = spark.sparkContext.broadcast(learn(proper, head, s))  # no shuffle in its passes
+    head = common["d"]
+    vectors = _store.materialise(proper.where(F.size("embedding") == head).groupBy("vec_id").agg(F.min("embedding").alias("embedding")))
+    quantiser, t = learn(vectors, head, s)
+    held, bits = spark.sparkContext.broadcast(quantiser), min(s.bits, 63, head)
 
-    @F.arrow_udf("bigint")
+    @F.arrow_udf("array<bigint>")
     def code(x: pa.Array) -> pa.Array:
         unit, ok = unit_rows(x, head)
-        return pa.array(quantiser.value.codes(unit), mask=~ok)
-
-    codes = _store.materialise(vectors.select("vec_id", code("embedding").alias("code")).where("code is not null"))
-    bits = min(s.bits, 63, head)
-    tables = -(-bits // s.substring_bits)
-    cut = F.explode(F.sequence(F.lit(0), F.lit(tables - 1)))
-    piece = F.expr(f"(shiftrightunsigned(code, table * {s.substring_bits}) & {(1 << s.substring_bits) - 1}L) | shiftleft(cast(table as bigint), {s.substring_bits})")
-    keyed = codes.withColumn("table", cut).withColumn("key", piece).drop("table")
-    masks = [sum(1 << i for i in c) for k in range(s.substring_radius + 1) for c in combinations(range(min(s.substring_bits, bits)), k)]
+        codes = np.stack([held.value.codes(unit, k) for k in range(t.codes)], 1)
+        ends = np.append(0, np.cumsum(ok) * t.codes).astype(np.int32)
+        return pa.ListArray.from_arrays(pa.array(ends), pa.array(codes[ok].ravel()))
+
+    codes = _store.materialise(vectors.select("vec_id", code("embedding").alias("codes")).where("size(codes) > 0"))
+    keyed = codes.select("vec_id", F.posexplode("codes").alias("of", "code"))
+    keyed = keyed.withColumn("cut", F.explode(F.sequence(F.lit(0), F.lit(t.each - 1))))
+    piece = F.expr(f"shiftrightunsigned(code, cut * {t.width}) & {(1 << t.width) - 1}L")
+    keyed = keyed.select("vec_id", "code", (F.col("of") * t.each + F.col("cut")).alias("table"), piece.alias("key"))
+    masks = [sum(1 << i for i in c) for k in range(s.substring_radius + 1) for c in combinations(range(min(t.width, bits)), k)]
     probes = keyed.withColumn("mask", F.explode(F.array(*[F.lit(m).cast("bigint") for m in masks])))
     probes = probes.where("mask = 0 or (key & (mask & -mask)) = 0")  # keys that differ meet once
-    probes = probes.select(F.expr("key ^ mask").alias("key"), F.col("vec_id").alias("vec_b"), F.col("code").alias("code_b"))
-    left = keyed.select("key", F.col("vec_id").alias("vec_a"), F.col("code").alias("code_a"))
-    near = left.join(probes, "key").where(F.expr(f"bit_count(code_a ^ code_b) <= {s.radius} and vec_a <> vec_b"))
+    probes = probes.select("table", F.expr("key ^ mask").alias("key"), F.col("vec_id").alias("vec_b"), F.col("code").alias("code_b"))
+    left = keyed.select("table", "key", F.col("vec_id").alias("vec_a"), F.col("code").alias("code_a"))
+    near = left.join(probes, ["table", "key"]).where(F.expr(f"bit_count(code_a ^ code_b) <= {t.radius} and vec_a <> vec_b"))
     pairs = near.select(F.least("vec_a", "vec_b").alias("vec_a"), F.greatest("vec_a", "vec_b").alias("vec_b")).distinct()
     a = vectors.select(F.col("vec_id").alias("vec_a"), F.col("embedding").alias("ea"))
     b = vectors.select(F.col("vec_id").alias("vec_b"), F.col("embedding").alias("eb"))

@@ -135,6 +135,8 @@ def test_embeddings(spark):
     e = spark.createDataFrame([(*r, "x", 1) for r in rows], "vec_id bigint, embedding array<float>, code string, key int")
     assert [(r.vec_a, r.vec_b) for r in embedding_dedup.near_pairs(e).collect()] == [(1, 2)]
     assert embedding_dedup.near_pairs(e.limit(0)).count() == 0
+    longer = spark.createDataFrame([(1, v), (2, v), (3, [1.0] * 5), (2, [9.0, 9.0, 9.0, 9.0])], "vec_id bigint, embedding array<float>")
+    assert [(r.vec_a, r.vec_b) for r in embedding_dedup.near_pairs(longer).collect()] == [(1, 2)]  # one longer vector harms no other
 
 
 def test_pipeline_keeps_columns(spark, small):

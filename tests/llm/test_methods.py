@@ -375,17 +375,33 @@ def test_archive_round_trip(spark, small, tmp_path):
 # --- 5 embeddings, 7 audio --------------------------------------------------------------
 
 
-def test_embedding_recall(spark):
+@pytest.mark.parametrize("shift", [0.0, 1.5, 2.0])  # times a common direction: mean cosine 0, 0.7 and 0.8
+def test_embedding_recall(spark, shift):
     rng = np.random.default_rng(8)
-    x = rng.standard_normal((400, 64))
-    near = np.concatenate([x[:100] + s * rng.standard_normal((100, 64)) for s in (0.05, 0.15, 0.25)])
-    x = np.concatenate([x, near])
+    x = rng.standard_normal((900, 64)) + shift
+    near = [x[:300] + w * rng.standard_normal((300, 64)) for w in (0.05, 0.15, 0.25, 0.32)] + ([x[:300] + rng.standard_normal((300, 64)) * w for w in (0.5, 0.6)] if shift else [])
+    x = np.concatenate([x, *near])
     x /= np.linalg.norm(x, axis=1, keepdims=True)
-    i, j = np.nonzero(np.triu(x @ x.T, 1) >= 0.95)
-    want = set(zip(i.tolist(), j.tolist(), strict=True))
+    cosine = x @ x.T
+    i, j = np.nonzero(np.triu(cosine, 1) >= 0.95)
+    want = {(a, b): cosine[a, b] for a, b in zip(i.tolist(), j.tolist(), strict=True)}
     frame = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id bigint, embedding array<double>")
     got = {(r.vec_a, r.vec_b) for r in embedding_dedup.near_pairs(frame).collect()}
-    assert got <= want and len(got) >= 0.95 * len(want)
+    assert got <= set(want) and len(got) >= 0.95 * len(want)
+    for low, high in ((0.95, 0.96), (0.96, 0.97), (0.97, 1.01)):  # also at the limit
+        own = {p for p, c in want.items() if low <= c < high}
+        assert len(own) > 50 and len(own & got) >= 0.9 * len(own)
+
+
+def test_embedding_tables_grow_with_the_vectors():
+    s = embedding_dedup.Settings()
+    plans = [embedding_dedup.plan(n, 60, 1.0, s) for n in (1000, 10**6, 10**9)]
+    assert [t.width for t in plans] == [15, 20, 30] and [t.each for t in plans] == [4, 3, 2]
+    for t in plans:
+        p = np.arccos(0.95) / np.pi
+        hit = (1 - p) ** t.width + t.width * p * (1 - p) ** (t.width - 1)
+        assert 1 - (1 - hit) ** (t.each * t.codes) >= s.recall
+    assert embedding_dedup.plan(1000, 60, 0.2, s).radius > s.radius
 
 
 def test_rotation_lowers_quantisation_error(spark):
@@ -395,8 +411,8 @@ def test_rotation_lowers_quantisation_error(spark):
     frame = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id bigint, embedding array<double>")
 
     def error(iterations):
-        q = embedding_dedup.learn(frame, 16, embedding_dedup.Settings(bits=16, iterations=iterations))
-        v = (x - q.mean) @ q.axes
+        q, _ = embedding_dedup.learn(frame, 16, embedding_dedup.Settings(bits=16, iterations=iterations))
+        v = (x - q.mean) @ q.axes[0]
         return ((np.sign(v) - v) ** 2).sum()
 
     assert error(8) < error(0)
