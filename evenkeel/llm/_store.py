@@ -34,6 +34,11 @@ def materialise(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def make_folder(spark: SparkSession, folder: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).mkdirs(path)
+
+
 def fresh(taken, base: str) -> str:
     """A column name that is not among ``taken`` (compared without case)."""
     low, name = {c.lower() for c in taken}, base

@@ -25,6 +25,9 @@ from evenkeel.llm import _store
 
 #: Sources up to which their budgets and cuts are broadcast; more are joined by source.
 MOST_BROADCAST = 50_000
+#: Labelled documents up to which their weights are broadcast; with more, documents are
+#: shuffled once on their way to ``mix``.
+MOST_LABELS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -61,15 +64,15 @@ def _key(identity: Column, quality: Column, s: Settings) -> Column:
 def _quality(labels: DataFrame, s: Settings) -> DataFrame:
     """doc_id and sampling weight; a doc_id labelled both ways counts as bad."""
     by_id = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("q"))
-    return by_id.select("doc_id", F.when(F.col("q") > 0, s.good).otherwise(s.bad).alias("weight"))
+    return _store.small(by_id.select("doc_id", F.when(F.col("q") > 0, s.good).otherwise(s.bad).alias("weight")), MOST_LABELS)
 
 
 def _units(docs: DataFrame, labels: DataFrame, s: Settings) -> DataFrame:
-    """source, id, key, tokens: one row for each document of a source, repeated rows summed."""
+    """source, id, key, tokens, doc_id: one row for each document of a source, repeated rows summed."""
     narrow = docs.select("doc_id", "source", _identity().alias("id"), tokens(F.col("text")).alias("tokens"))
     weighted = narrow.join(_quality(labels, s), "doc_id", "left")
     key = _key(F.col("id"), F.coalesce("weight", F.lit(s.unknown)), s)
-    return weighted.groupBy("source", "id").agg(F.min(key).alias("key"), F.sum("tokens").alias("tokens"))
+    return weighted.groupBy("source", "id").agg(F.min(key).alias("key"), F.sum("tokens").alias("tokens"), F.min("doc_id").alias("doc_id"))
 
 
 def plan(units: DataFrame, s: Settings = Settings()) -> DataFrame:
@@ -112,7 +115,7 @@ def plan(units: DataFrame, s: Settings = Settings()) -> DataFrame:
 def _copies(frame: DataFrame, cuts: DataFrame, key: Column, identity: Column, s: Settings, name: str) -> DataFrame:
     """``frame`` with how often each row is taken."""
     spot = F.floor((1 - F.exp(-key / 2)) * s.ranges).cast("bigint")
-    cut = f"{name}_cut"
+    cut = _store.fresh([*frame.columns, name], f"{name}_cut")
     c = cuts.select(F.struct("source", "epochs", "cut_spot", "cut_key", "cut_id").alias(cut))
     joined = frame.join(c, F.col("source").eqNullSafe(F.col(f"{cut}.source")))
     inside = (spot == F.col(f"{cut}.cut_spot")) & ((key < F.col(f"{cut}.cut_key")) | ((key == F.col(f"{cut}.cut_key")) & (identity <= F.col(f"{cut}.cut_id"))))
@@ -125,12 +128,13 @@ def select(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Data
 
     Null sources are one source; null doc_ids are told apart by text; repeated rows of a
     doc_id are one document of the sum of their tokens, with copies of the sum.  Null
-    texts count one token.  Missing labels: all documents weigh the same.
+    texts count one token.  Missing labels: all documents weigh the same.  doc_id may be of
+    any type that casts to a string.
     """
     units = _store.materialise(_units(docs, labels, s))
     taken = _copies(units, plan(units, s), F.col("key"), F.col("id"), s, "copies")
     taken = taken.where("copies > 0")
-    return taken.select(F.expr("try_cast(id as bigint)").alias("doc_id"), "source", F.col("tokens").alias("n_tokens"), "copies")
+    return taken.select("doc_id", "source", F.col("tokens").alias("n_tokens"), "copies")
 
 
 def mix(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> DataFrame:

@@ -14,6 +14,7 @@ import datetime as dt
 import hashlib
 import math
 import re
+import secrets
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -28,8 +29,18 @@ ROUNDS = 8
 
 @dataclass(frozen=True)
 class Settings:
-    #: Secret; give your own. Pseudonyms of different keys don't match.
-    key: bytes = b"evenkeel demonstration key"
+    #: Secret. Pseudonyms of different keys don't match.
+    key: bytes
+
+
+_keys: dict[str, bytes] = {}
+
+
+def key_of(spark: SparkSession) -> bytes:
+    """The key in ``spark.evenkeel.pii.key``.  Without that setting one is drawn for the
+    application: pseudonyms are linked within it, and nobody can undo them afterwards."""
+    given = spark.conf.get("spark.evenkeel.pii.key", None)
+    return given.encode() if given else _keys.setdefault(spark.sparkContext.applicationId, secrets.token_bytes(32))
 
 
 class Feistel:
@@ -85,6 +96,8 @@ def _card(m: str, f: Feistel) -> str | None:
 #: Ten digits in the usual three groups, or in one.
 _SHAPED = re.compile(r"(?:1[ .-]?)?(?:\(\d{3}\)[ .-]?|\d{3}[ .-])\d{3}[ .-]\d{4}")
 _UNDIVIDED = re.compile(r"1?\d{10}")
+#: An area code that begins with 0, and a number.
+_NATIONAL = re.compile(r"0[1-9]\d{1,3}[ /-]\d{5,8}")
 #: Country code: digits that may follow it.
 _LENGTHS = {
     "1": (10,), "7": (10,), "20": (9, 10), "27": (9,), "30": (10,), "31": (9,), "32": (8, 9), "33": (9,), "34": (9,), "36": (8, 9), "39": (9, 10), "41": (9,), "44": (9, 10), "45": (8,), "46": (8, 9), "47": (8,), "48": (9,), "49": (10, 11),
@@ -94,6 +107,10 @@ _LENGTHS = {
 
 def _phone(m: str, f: Feistel) -> str | None:
     d = re.sub(r"\D", "", m)
+    if _NATIONAL.fullmatch(m) and 9 <= len(d) <= 12:
+        n = len(d) - 2
+        v = f((int(d[1]) - 1) * 10**n + int(d[2:]), 9 * 10**n, "national")
+        return _refill(m, "0" + str(v // 10**n + 1) + str(v % 10**n).zfill(n))
     national = d[1:] if m.startswith("+1") or len(d) == 11 and d[0] == "1" else d
     if (m.startswith("+1") or not m.startswith("+")) and len(national) == 10:
         a, x, line = int(national[:3]), int(national[3:6]), int(national[6:])
@@ -107,8 +124,12 @@ def _phone(m: str, f: Feistel) -> str | None:
         a, x = divmod(v, each)
         return _refill(m, d[: len(d) - 10] + f"{a + a0:03}{x + x0:03}{line:04}")
     if m.startswith("+") and 8 <= len(d) <= 15:
+        head, trunk, tail = m.partition("(0)")  # a zero that is dialled at home only: it stays
+        d = re.sub(r"\D", "", head + tail)
         n = len(d) - 2
-        return _refill(m, d[:2] + str(f(int(d[2:]), 10**n, f"phone{d[:2]}")).zfill(n))
+        new = d[:2] + str(f(int(d[2:]), 10**n, f"phone{d[:2]}")).zfill(n)
+        k = sum(c.isdigit() for c in head)
+        return _refill(head, new[:k]) + trunk + _refill(tail, new[k:])
     return None
 
 
@@ -204,7 +225,7 @@ KINDS: dict[str, tuple[str, Callable[[str, Feistel], str | None]]] = {
     "ip": (r"(?<![\w.])\d{1,3}(?:\.\d{1,3}){3}(?![\w]|\.\d)", _ip),
     "ssn": (r"(?<![\w-])\d{3}-\d\d-\d{4}(?![\w]|-\d)", _ssn),
     "card": (r"(?<![\w+.-])\d(?:[ -]?\d){12,18}(?![\w]|-\d)", _card),
-    "phone": (r"(?<![\w+.])(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?)?\d{2,5}(?:[ .-]?\d{2,5}){1,4}(?![\w]|[-.]\d)", _phone),
+    "phone": (r"(?<![\w+.])(?:\+\d{1,3}[ .-]?(?:\d[ .-])?)?(?:\(\d{1,4}\)[ .-]?)?\d{2,5}(?:[ ./-]?\d{2,5}){1,4}(?![\w]|[-.]\d)", _phone),
 }
 _PATTERN = re.compile("|".join(f"(?P<{k}>{p})" for k, (p, _) in KINDS.items()))
 _EACH = {k: re.compile(p) for k, (p, _) in KINDS.items()}
@@ -229,7 +250,7 @@ def _shorter(kind: str, m: str) -> list[str]:
     """What a match can be cut to at a separator, longest first."""
     out = []
     for i in range(len(m) - 1, 0, -1):
-        if m[i] in " .-" and _EACH[kind].fullmatch(m[:i]):
+        if m[i] in " .-/" and _EACH[kind].fullmatch(m[:i]):
             if kind != "phone" or m[0] == "+" and m[i] == " " or _SHAPED.fullmatch(m[:i]) or m[i] == " " and _UNDIVIDED.fullmatch(m[:i]):
                 out.append(m[:i])
     return out
@@ -282,15 +303,19 @@ def _replaced(docs: DataFrame, settings: Settings, name: str) -> DataFrame:
     return docs.withColumn(name, _udf(settings)(some))
 
 
-def detect(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
+def detect(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     """doc_id, text with pseudonyms, n_pseudonyms for every row.  Null text: null and 0;
-    empty text: empty and 0.  Repeated rows give equal rows.  Other columns are ignored."""
+    empty text: empty and 0.  Repeated rows give equal rows.  Other columns are ignored.
+    Without settings the key is ``key_of`` the session."""
+    settings = settings or Settings(key_of(docs.sparkSession))
     d = _replaced(docs.select("doc_id", "text"), settings, "r")
     return d.select("doc_id", F.coalesce("r.text", "text").alias("text"), F.coalesce("r.n", F.lit(0)).alias("n_pseudonyms"))
 
 
-def mask(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
-    """``docs`` with pseudonyms in ``text``, other columns as they are; lengths stay."""
+def mask(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
+    """``docs`` with pseudonyms in ``text``, other columns as they are; lengths stay.
+    Without settings the key is ``key_of`` the session."""
+    settings = settings or Settings(key_of(docs.sparkSession))
     name = _store.fresh(docs.columns, "replaced")
     d = _replaced(docs, settings, name)
     return d.select(*[F.coalesce(F.col(f"{name}.text"), F.col("text")).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns])

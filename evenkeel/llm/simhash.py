@@ -183,8 +183,14 @@ def groups(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
     """One row for each (doc_id, text hash): doc_id, text_hash, group_id, keep.
 
     group_id is the least doc_id of the near copies, keep marks that document.  Rows
-    without doc_id are left out; null and empty texts are groups of their own.
+    without doc_id are left out; null and empty texts are groups of their own.  Other
+    columns are ignored.
     """
+    return _grouped(docs, settings)[0]
+
+
+def _grouped(docs: DataFrame, settings: Settings) -> tuple[DataFrame, DataFrame]:
+    """``groups``, and (doc_id, text_hash) of the rows that are there more than once."""
     wanted = docs.select("doc_id", F.xxhash64("text").alias("text_hash"), "text").where("doc_id is not null")
     points = _store.materialise(wanted.select("doc_id", "text_hash", _fingerprint("text").alias("f")).select("doc_id", "text_hash", "f.hi", "f.lo"))
     found = points.where("hi is not null").groupBy("hi", "lo").agg(F.min(F.struct("doc_id", "text_hash")).alias("first"))
@@ -199,20 +205,30 @@ def groups(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
     of_fingerprint = named.join(first, ["root_hi", "root_lo"]).select("hi", "lo", "first_of_group")
     rows = points.dropDuplicates(["doc_id", "text_hash"]).join(of_fingerprint, ["hi", "lo"], "left")
     own = F.struct("doc_id", "text_hash")
-    return rows.select("doc_id", "text_hash", F.coalesce("first_of_group.doc_id", "doc_id").alias("group_id"), F.coalesce(F.col("first_of_group") == own, F.lit(True)).alias("keep"))
+    repeated = points.groupBy("doc_id", "text_hash").count().where("count > 1").drop("count")
+    return rows.select("doc_id", "text_hash", F.coalesce("first_of_group.doc_id", "doc_id").alias("group_id"), F.coalesce(F.col("first_of_group") == own, F.lit(True)).alias("keep")), repeated
+
+
+#: Documents to drop, and documents in several rows, up to which they are broadcast; with
+#: more, documents are shuffled once.
+MOST_BROADCAST = 1_000_000
 
 
 def deduplicate(docs: DataFrame, settings: Settings = Settings()) -> DataFrame:
     """``docs`` with one document of each group of near copies, all columns kept.
 
-    Of repeated rows (equal doc_id and text) one stays.  Rows without doc_id stay.
+    Of rows with equal doc_id and text one stays, the least by its columns as JSON.  Rows
+    without doc_id stay.
     """
     names = docs.columns
-    th, alone = _store.fresh(names, "text_hash"), _store.fresh([*names, "text_hash"], "alone")
-    gone = groups(docs, settings).where(~F.col("keep")).select(F.col("doc_id"), F.col("text_hash").alias(th))
-    marked = docs.withColumn(th, F.xxhash64("text")).withColumn(alone, F.when(F.col("doc_id").isNull(), F.monotonically_increasing_id()))
-    left = marked.join(gone, ["doc_id", th], "left_anti")
-    return left.dropDuplicates(["doc_id", th, alone]).select(*[F.col(f"`{c}`") for c in names])
+    th = _store.fresh(names, "text_hash")
+    found, repeated = _grouped(docs, settings)
+    gone, repeated = (_store.small(_store.materialise(x.select("doc_id", F.col("text_hash").alias(th))), MOST_BROADCAST) for x in (found.where(~F.col("keep")), repeated))
+    left = docs.withColumn(th, F.xxhash64("text")).join(gone, ["doc_id", th], "left_anti")
+    single = left.join(repeated, ["doc_id", th], "left_anti").select(*[F.col(f"`{c}`") for c in names])
+    row = F.struct(*[F.col(f"`{c}`") for c in names])
+    one = left.join(repeated, ["doc_id", th], "left_semi").groupBy("doc_id", th).agg(F.min_by(row, F.to_json(row)).alias("row"))
+    return single.unionByName(one.select(*[F.col("row").getField(c).alias(c) for c in names]))
 
 
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -34,11 +34,12 @@ class Settings:
     date: str = "2024-01-01T00:00:00Z"
 
 
-def record(page_id: int | None, url: str | None, html: str | None, date: str) -> bytes:
-    """One response record.  Nulls: an empty target and an empty body."""
+def record(page_id: int | str | None, url: str | None, html: str | None, date: str, serial: int = 0) -> bytes:
+    """One resource record.  Nulls: an empty target and an empty body.  ``serial`` tells
+    repeated rows apart: no two records of an archive have the same id."""
     body = (html or "").encode()
     target = (url or "").replace("\r", "%0D").replace("\n", "%0A")
-    name = uuid.UUID(bytes=hashlib.sha256(f"{page_id}|{target}".encode()).digest()[:16], version=4)
+    name = uuid.UUID(bytes=hashlib.sha256(f"{page_id}|{target}|{serial}".encode()).digest()[:16], version=4)
     digest = base64.b32encode(hashlib.sha1(body).digest()).decode()  # noqa: S324
     lines = ["WARC/1.1", "WARC-Type: resource", f"WARC-Record-ID: <urn:uuid:{name}>", f"WARC-Date: {date}", f"WARC-Target-URI: {target}", "Content-Type: text/html; charset=utf-8", f"WARC-Payload-Digest: sha1:{digest}", f"Content-Length: {len(body)}"]
     return "\r\n".join(lines).encode() + b"\r\n\r\n" + body + b"\r\n\r\n"
@@ -78,17 +79,18 @@ def _decompressor(raw: bytes) -> zstandard.ZstdDecompressor:
 
 
 def build_dictionary(pages: DataFrame, s: Settings = Settings()) -> bytes:
-    """From at most ``samples`` records chosen by a hash of page_id and url; empty if
-    there are too few to build one."""
+    """From at most ``samples`` records chosen by a hash of page_id and url: some hundred times
+    a dictionary's bytes, as is advised.  Of too few to train one, their ends themselves are the
+    dictionary; it is empty for an empty table."""
     rows = _store.sample_by_hash(pages.select("page_id", "url", "html"), s.samples, "page_id", "url").collect()
     raw = [record(r.page_id, r.url, r.html, s.date) for r in rows]
-    if len(raw) < 10:
-        return b""
     size = min(s.dictionary_bytes, max(1024, sum(map(len, raw)) // 10))
-    try:
-        return zstandard.train_dictionary(size, raw).as_bytes()
-    except zstandard.ZstdError:
-        return b""
+    if len(raw) >= 10:
+        try:
+            return zstandard.train_dictionary(size, raw).as_bytes()
+        except zstandard.ZstdError:  # nothing in them repeats
+            pass
+    return b"".join(r[-size:] for r in raw)[-size:]
 
 
 def frames(pages: DataFrame, s: Settings = Settings()) -> DataFrame:
@@ -96,8 +98,8 @@ def frames(pages: DataFrame, s: Settings = Settings()) -> DataFrame:
 
     Each shard has one dictionary frame (null page_id, raw_bytes its dictionary's size)
     and one frame a row of ``pages``; dictionary first, then the others in any order make
-    a file.  Repeated rows give equal frames; nulls are empty fields; an empty table gives
-    shard 0 with an empty dictionary.  Other columns are ignored.
+    a file.  Repeated rows are records of their own; nulls are empty fields; an empty table gives
+    shard 0 with an empty dictionary.  Other columns are ignored; page_id may be of any type.
     """
     spark, narrow = pages.sparkSession, pages.select("page_id", "url", "html")
     dictionary = spark.sparkContext.broadcast(build_dictionary(narrow, s))
@@ -109,50 +111,65 @@ def frames(pages: DataFrame, s: Settings = Settings()) -> DataFrame:
         for batch in batches:
             for start in range(0, batch.num_rows, 256):
                 part = batch.slice(start, 256)
-                raw = [record(*x, s.date) for x in zip(*(part.column(c).to_pylist() for c in ("page_id", "url", "html")), strict=True)]
+                raw = [record(a, b, c, s.date, k) for a, b, c, k in zip(*(part.column(c).to_pylist() for c in ("page_id", "url", "html", "serial")), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column("shard"), part.column("page_id"), pa.array([writer.compress(r) for r in raw], pa.binary()), pa.array([len(r) for r in raw], pa.int64())], ["shard", "page_id", "frame", "raw_bytes"])
 
     shard = F.pmod(F.xxhash64("page_id", "url"), F.lit(shards)).cast("int")
     kind = narrow.schema["page_id"].dataType.simpleString()
-    records = narrow.withColumn("shard", shard).mapInArrow(compress, f"shard int, page_id {kind}, frame binary, raw_bytes bigint")
+    records = narrow.withColumn("shard", shard).withColumn("serial", F.monotonically_increasing_id()).mapInArrow(compress, f"shard int, page_id {kind}, frame binary, raw_bytes bigint")
     head = spark.range(shards).select(
         F.col("id").cast("int").alias("shard"), F.lit(None).cast(kind).alias("page_id"), F.lit(bytearray(skippable(dictionary.value))).alias("frame"), F.lit(len(dictionary.value)).cast("bigint").alias("raw_bytes"))
     return records.withColumn("is_dictionary", F.lit(False)).unionByName(head.withColumn("is_dictionary", F.lit(True)))
 
 
 def write_archive(pages: DataFrame, folder: str, s: Settings = Settings()) -> DataFrame:
-    """Write ``part-<shard>.warc.zst`` files into a folder that all executors share; gives
-    the index: page_id, file, offset, length.  A file is written under another name and
-    moved, so a task that runs again does no harm."""
-    import os
+    """Write ``part-<shard>.warc.zst`` files into a folder that all executors share, on any file
+    system that pyarrow knows; gives the index: page_id, file (whole path), offset, length,
+    raw_bytes, sha1 (of the record).  A file is written under a name of its own and moved, so a
+    task that runs again, or twice at once, does no harm.  Nulls, repeated rows and empty
+    tables as for ``frames``."""
+    kind = pages.schema["page_id"].dataType.simpleString()
+    schema = f"page_id {kind}, file string, offset bigint, length bigint, raw_bytes bigint, sha1 string"
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out = at = name = shard = None
+        from pyarrow import fs
+
+        store, root = fs.FileSystem.from_uri(folder) if "://" in folder or folder.startswith("file:") else (fs.LocalFileSystem(), folder)
+        out = at = name = other = shard = reader = None
+
+        def close() -> None:
+            out.close()
+            store.move(other, name)
+
         for batch in batches:
-            index = {"page_id": [], "file": [], "offset": [], "length": []}
-            for row in batch.to_pylist():
-                if row["shard"] != shard:
+            where, rows = [], []
+            for i, (own, frame, first) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("shard", "frame", "is_dictionary")), strict=True)):
+                if own != shard:
                     if out:
-                        out.close()
-                        os.replace(name + f".{os.getpid()}", name)
-                    shard, at = row["shard"], 0
-                    name = f"{folder}/part-{shard:05}.warc.zst"
-                    out = open(name + f".{os.getpid()}", "wb")  # noqa: SIM115
-                out.write(row["frame"])
-                if not row["is_dictionary"]:
-                    for k, v in (("page_id", row["page_id"]), ("file", os.path.basename(name)), ("offset", at), ("length", len(row["frame"]))):
-                        index[k].append(v)
-                at += len(row["frame"])
-            yield pa.RecordBatch.from_arrays([pa.array(index["page_id"], pa.int64()), pa.array(index["file"], pa.string()), pa.array(index["offset"], pa.int64()), pa.array(index["length"], pa.int64())], ["page_id", "file", "offset", "length"])
+                        close()
+                    shard, at = own, 0
+                    name = f"{root}/part-{shard:05}.warc.zst"
+                    other = f"{root}/.part-{shard:05}-{uuid.uuid4().hex}"
+                    out = store.open_output_stream(other)
+                out.write(frame)
+                if first:
+                    reader = _decompressor(frame[8:])
+                else:
+                    where.append(i)
+                    rows.append((name, at, len(frame), hashlib.sha1(reader.decompressobj().decompress(frame)).hexdigest()))  # noqa: S324
+                at += len(frame)
+            part = batch.take(pa.array(where, pa.int64()))
+            columns = list(zip(*rows, strict=True)) or [[]] * 4
+            yield pa.RecordBatch.from_arrays([part.column("page_id"), pa.array(columns[0], pa.string()), pa.array(columns[1], pa.int64()), pa.array(columns[2], pa.int64()), part.column("raw_bytes"), pa.array(columns[3], pa.string())], ["page_id", "file", "offset", "length", "raw_bytes", "sha1"])
         if out:
-            out.close()
-            os.replace(name + f".{os.getpid()}", name)
+            close()
 
-    os.makedirs(folder, exist_ok=True)
+    _store.make_folder(pages.sparkSession, folder)
     made = frames(pages, s)
     ordered = made.repartition("shard").sortWithinPartitions("shard", F.desc("is_dictionary"), "page_id")
-    return _store.materialise(ordered.mapInArrow(write, "page_id bigint, file string, offset bigint, length bigint"))
+    return _store.materialise(ordered.mapInArrow(write, schema))
 
 
 def op1_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return frames(_store.table(spark, sf_dir, "pages"))
+    """The index of an archive in the shared folder."""
+    return write_archive(_store.table(spark, sf_dir, "pages"), f"{_store.shared_folder(spark)}/evenkeel-warc-{uuid.uuid4().hex}")

@@ -62,6 +62,16 @@ def test_simhash_same_id_other_text(spark):
     assert sorted(r.text[:3] for r in simhash.deduplicate(d).collect()) == ["and", "one"]
 
 
+def test_simhash_ties_are_settled(spark):
+    """Of rows that agree in doc_id and text the least one stays, whatever the order."""
+    rows = [(1, "one text of a kind that nothing else is like", x, y) for x, y in (("b", 1), ("a", 2), ("a", 1), ("a", 1), (None, 3))] + [(None, "no id", "z", 1), (None, "no id", "z", 1)]
+    for order in (rows, rows[::-1]):
+        d = spark.createDataFrame(order, "doc_id bigint, text string, source string, alone int").repartition(3)
+        left = simhash.deduplicate(d)
+        assert left.columns == d.columns
+        assert sorted((r.doc_id or 0, r.source or "", r.alone) for r in left.collect()) == [(0, "z", 1), (0, "z", 1), (1, "", 3)]  # JSON leaves nulls out
+
+
 def test_pii(docs, none):
     rows = pii.detect(docs).collect()
     assert len(rows) == docs.count()
@@ -84,6 +94,24 @@ def test_mixing(docs, none, labels):
     assert mixing.mix(docs, labels.limit(0)).count() > 0
 
 
+def test_mixing_string_ids_and_clashes(spark):
+    d = spark.createDataFrame([("a-1", "x y z", "s", 1, 2, "k"), ("a-2", "x y", "s", 1, 2, "k"), (None, "x", None, 1, 2, "k")], "doc_id string, text string, source string, mix_copies_cut int, mix_copies int, mix_key string")
+    labels = spark.createDataFrame([("a-1", 1), ("a-2", 0)], "doc_id string, quality int")
+    s = mixing.Settings(budget=2.0)
+    taken = {r.doc_id: r.copies for r in mixing.select(d, labels, s).collect()}
+    assert taken.keys() == {"a-1", "a-2", None}
+    mixed = mixing.mix(d, labels, s)
+    assert mixed.columns == d.columns and mixed.count() == sum(taken.values())
+
+
+def test_mixing_does_not_depend_on_the_joins(spark, small, monkeypatch):
+    docs, labels = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "labels"))
+    want = [sorted(f(docs, labels).select("doc_id").collect()) for f in (mixing.select, mixing.mix)]
+    monkeypatch.setattr(mixing, "MOST_BROADCAST", 0)
+    monkeypatch.setattr(mixing, "MOST_LABELS", 0)
+    assert want == [sorted(f(docs, labels).select("doc_id").collect()) for f in (mixing.select, mixing.mix)]
+
+
 def test_bpe(docs, none):
     rows = bpe.encode_documents(docs).collect()
     assert len(rows) == docs.count()

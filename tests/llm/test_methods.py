@@ -196,8 +196,32 @@ def test_pii_values_end_where_they_end(value, more):
     assert pii.pseudonymise(f"to {value}{more}.", f) == (f"to {alone}{more}.", 1)
 
 
+def test_pii_phones_of_many_layouts():
+    f = pii.Feistel(b"key")
+    for t in ("+1 555 123 4567", "+1-800-123-4567", "030 1234567", "0171/2345678", "+49 (0)30 1234567", "+33 1 42 68 53 00"):
+        new, n = pii.pseudonymise(f"call {t}, please", f)
+        assert n == 1 and t not in new and len(new) == len(t) + 13
+        assert [c.isdigit() for c in new[5:-8]] == [c.isdigit() for c in t]
+    a, b = (pii.pseudonymise(t, f)[0] for t in ("+49 (0)30 1234567", "+49 30 1234567"))
+    assert a.replace("(0)", "") == b  # the same number
+    assert len({pii._phone(f"030 {x:07}", f) for x in range(3000)}) == 3000
+    for t in ("1/2/3", "12.50 - 13.75", "chapters 100-200 300", "000 1234567", "5551234567", "ISBN 978-3-16-148410-0"):
+        assert pii.pseudonymise(t, f) == (t, 0)
+
+
+def test_pii_key_is_the_session_s_or_drawn(spark):
+    d = spark.createDataFrame([(1, "4111 1111 1111 1111")], "doc_id bigint, text string")
+    drawn = pii.detect(d).first().text
+    assert drawn == pii.detect(d).first().text and drawn != pii.detect(d, pii.Settings(b"other")).first().text
+    spark.conf.set("spark.evenkeel.pii.key", "other")
+    try:
+        assert pii.detect(d).first().text == pii.detect(d, pii.Settings(b"other")).first().text
+    finally:
+        spark.conf.unset("spark.evenkeel.pii.key")
+
+
 def test_pii_query_equals_brute_force(spark, small):
-    f = pii.Feistel(pii.Settings().key)
+    f = pii.Feistel(pii.key_of(spark))
     docs = {r.doc_id: r.text for r in spark.read.parquet(f"{small}/documents.parquet").collect()}
     got = pii.op6_pii(spark, small).collect()
     assert len(got) == len(docs) and sum(r.n_pseudonyms for r in got) > 0
@@ -368,8 +392,39 @@ def test_archive_round_trip(spark, small, tmp_path):
         assert magic == warc.MAGIC
         fields, body = warc.parse(warc._decompressor(data[8 : 8 + size]).decompress(data[r.offset : r.offset + r.length], max_output_size=1 << 24))
         assert body.decode() == want[r.page_id].html and fields["WARC-Target-URI"] == want[r.page_id].url
-    whole = sum(len(list(warc.read_archive(p.read_bytes()))) for p in tmp_path.glob("*.zst"))
-    assert whole == len(want)
+    whole = [f["WARC-Record-ID"] for p in tmp_path.glob("*.zst") for f, _ in warc.read_archive(p.read_bytes())]
+    assert len(whole) == len(set(whole)) == len(want)
+    assert not [p for p in tmp_path.iterdir() if p.suffix not in (".zst", ".crc")]
+
+
+def test_archive_query_equals_brute_force(spark, small):
+    """The index against the records made one by one, and the files against the index."""
+    import hashlib
+    from pathlib import Path
+
+    pages = {r.page_id: r for r in spark.read.parquet(f"{small}/pages.parquet").collect()}
+    index = warc.op1_warc(spark, small).collect()
+    assert sorted(r.page_id for r in index) == sorted(pages)
+    for name in {r.file for r in index}:
+        data, rows = Path(name.removeprefix("file://")).read_bytes(), sorted((r for r in index if r.file == name), key=lambda r: r.offset)
+        at = 8 + int.from_bytes(data[4:8], "little")
+        for r, (fields, body) in zip(rows, warc.read_archive(data), strict=True):
+            assert r.offset == at
+            at += r.length
+            page = pages[r.page_id]
+            head = "\r\n".join(["WARC/1.1", *(f"{k}: {v}" for k, v in fields.items())]).encode()
+            raw = head + b"\r\n\r\n" + page.html.encode() + b"\r\n\r\n"
+            assert body.decode() == page.html and r.raw_bytes == len(raw) and r.sha1 == hashlib.sha1(raw).hexdigest()
+        assert at == len(data)
+
+
+def test_archive_of_string_ids_and_repeated_rows(spark, tmp_path):
+    rows = [("a", "https://x.example/", "<p>1</p>"), ("a", "https://x.example/", "<p>1</p>"), (None, None, None), ("b", "https://y.example/", "")]
+    index = warc.write_archive(spark.createDataFrame(rows, "page_id string, url string, html string"), f"file://{tmp_path}").collect()
+    assert sorted((r.page_id or "") for r in index) == ["", "a", "a", "b"]
+    found = [x for p in tmp_path.glob("*.zst") for x in warc.read_archive(p.read_bytes())]
+    assert len({f["WARC-Record-ID"] for f, _ in found}) == 4 and sorted(b for _, b in found) == [b"", b"", b"<p>1</p>", b"<p>1</p>"]
+    assert warc.write_archive(spark.createDataFrame([], "page_id string, url string, html string"), str(tmp_path / "none")).count() == 0
 
 
 # --- 5 embeddings, 7 audio --------------------------------------------------------------
