@@ -49,6 +49,9 @@ class Settings:
 class Vocabulary:
     """Token bytes, merges and merge trees from a ranks file."""
 
+    #: Pairs of tokens whose neighbourhood is remembered; then it begins anew.
+    kept_neighbours = 200_000
+
     def __init__(self, path: str):
         pairs = (line.split() for line in Path(path).read_bytes().splitlines() if line.strip())
         self.rank = {base64.b64decode(t): int(r) for t, r in pairs}
@@ -76,7 +79,7 @@ class Vocabulary:
                 at = nxt
             self.ends[at] = self.rank[t]
         self._edges: tuple[dict[int, list], dict[int, list]] = ({}, {})
-        self._neighbours: dict[tuple[int, int], bool] = {}
+        self._neighbours: dict[int, bool] = {}
 
     def _reduce(self, t: bytes, limit: int) -> tuple[int, ...]:
         """BPE of ``t`` with the merges under ``limit``."""
@@ -103,8 +106,10 @@ class Vocabulary:
 
     def neighbours(self, a: int, b: int) -> bool:
         """Whether ``b`` may follow ``a`` in an encoding."""
-        known = self._neighbours.get((a, b))
+        known = self._neighbours.get(a << 32 | b)
         if known is None:
+            if len(self._neighbours) > self.kept_neighbours:
+                self._neighbours.clear()
             known = True
             for x, x_gone in self._edge(a, 1):
                 for y, y_gone in self._edge(b, 0):
@@ -112,7 +117,7 @@ class Vocabulary:
                     # of equal merges the left one comes first
                     if joint is not None and joint < x_gone and joint <= y_gone:
                         known = False
-            self._neighbours[a, b] = known
+            self._neighbours[a << 32 | b] = known
         return known
 
 
@@ -128,11 +133,12 @@ class Transducer:
         self.number = {start: 0}
         self.branches = [start]
         self.final: list[tuple[int, ...]] = [()]
-        self.steps: dict[int, tuple[int, tuple[int, ...]]] = {}
+        # A state goes by 256 times its number. A step that emits nothing is the next state alone.
+        self.steps: dict[int, int | tuple[int, tuple[int, ...]]] = {}
 
-    def _step(self, state: int, byte: int) -> tuple[int, tuple[int, ...]]:
+    def _step(self, state: int, byte: int) -> int | tuple[int, tuple[int, ...]]:
         v, after, done = self.v, [], None
-        for last, node, pending in self.branches[state]:
+        for last, node, pending in self.branches[state >> 8]:
             child = v.children[node].get(byte)
             if child is None:
                 continue
@@ -151,10 +157,10 @@ class Transducer:
         key = tuple((t, n, p[agreed:]) for t, n, p in after)
         to = self.number.get(key)
         if to is None:
-            to = self.number[key] = len(self.branches)
+            to = self.number[key] = len(self.branches) << 8
             self.branches.append(key)
             self.final.append(key[-1][2])
-        self.steps[state << 8 | byte] = made = to, first[:agreed]
+        self.steps[state | byte] = made = (to, first[:agreed]) if agreed else to
         return made
 
     def feed(self, state: int, data: bytes) -> tuple[int, list[int]]:
@@ -162,9 +168,13 @@ class Transducer:
         out: list[int] = []
         steps = self.steps
         for byte in data:
-            made = steps.get(state << 8 | byte)
-            state, emitted = made if made is not None else self._step(state, byte)
-            if emitted:
+            made = steps.get(state | byte)
+            if made is None:
+                made = self._step(state, byte)
+            if made.__class__ is int:
+                state = made
+            else:
+                state, emitted = made
                 out += emitted
         return state, out
 
@@ -172,7 +182,7 @@ class Transducer:
         if len(self.branches) > self.kept_states:
             self._begin()
         state, out = self.feed(0, word)
-        out += self.final[state]
+        out += self.final[state >> 8]
         return out
 
 
@@ -307,8 +317,7 @@ def _encoded(settings: Settings):
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         encoder, decoder = _tools(settings)
         for texts in batches:
-            done = []
-            for piece in _bytes.pieces(texts):
+            for piece in _bytes.pieces(texts):  # each goes out by itself: a worker holds the tokens of one
                 there = piece.to_pylist()
                 tokens, at = encoder.encode_all(there)
                 same = []
@@ -317,8 +326,9 @@ def _encoded(settings: Settings):
                     same.append(None if t is None else decoder.feed(own) + decoder.finish() == t)
                 lists = pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(tokens, pa.int32()))
                 lists = pa.ListArray.from_buffers(lists.type, len(there), [pa.array([t is not None for t in there]).buffers()[1], lists.buffers()[1]], children=[lists.values])
-                done.append(pa.StructArray.from_arrays([lists, pa.array(same, pa.bool_())], ["tokens", "round_trip"]))
-            yield pa.concat_arrays(done) if done else pa.array([], kind)
+                yield pa.StructArray.from_arrays([lists, pa.array(same, pa.bool_())], ["tokens", "round_trip"])
+            if not len(texts):
+                yield pa.array([], kind)
 
     return run
 
