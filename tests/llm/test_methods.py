@@ -557,8 +557,10 @@ def test_audio_candidates_equal_brute_force(spark):
     marks = {i: {(g, *x[[k, k + g]].tolist()) for g in range(1, s.reach + 1) for k in range(len(x) - g)} for i, x in lists.items()}
     want = {(i, j) for i in lists for j in lists if i > j and len(marks[i] & marks[j]) >= s.landmarks}
     frame = spark.createDataFrame([(i, x.tolist()) for i, x in lists.items()], "rid bigint, prints array<int>")
-    got = [(r.doc_id, r.anchor_id) for r in audio.candidates(frame, s).collect()]
+    rows = [(r.short_id, r.long_id) for r in audio.candidates(frame, s).collect()]
+    got = [(max(p), min(p)) for p in rows]
     assert len(got) == len(set(got)) and set(got) == want
+    assert all((len(lists[a]), -a) <= (len(lists[b]), -b) for a, b in rows)
 
 
 def test_audio_integers_do_not_depend_on_the_batch(small, spark):
