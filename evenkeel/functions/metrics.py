@@ -9,14 +9,15 @@ from pyspark.sql import Window as W
 
 
 def auc(scored: DataFrame, score: str = "score", label: str = "y", by: tuple[str, ...] = ()) -> DataFrame:
-    """Exact area under the curve, ties at a half: ``by``, auc, positives, negatives.
+    """Exact area under the curve, ties at a half: ``by``, auc, positives, negatives.  A group
+    of one class has a null auc; rows without score or label are left out.
 
     Scores are counted first; the running sum is over distinct scores of a group."""
-    counts = scored.groupBy(*by, score).agg(F.sum(label).alias("pos"), F.sum(1 - F.col(label)).alias("neg"))
+    counts = scored.where(F.col(score).isNotNull() & F.col(label).isNotNull()).groupBy(*by, score).agg(F.sum(label).alias("pos"), F.sum(1 - F.col(label)).alias("neg"))
     below = F.sum("neg").over(W.partitionBy(*by).orderBy(score)) - F.col("neg")
     won = counts.withColumn("won", F.col("pos") * (below + F.col("neg") / 2))
     out = won.groupBy(*by).agg(F.sum("won").alias("w"), F.sum("pos").alias("positives"), F.sum("neg").alias("negatives"))
-    return out.select(*by, (F.col("w") / (F.col("positives") * F.col("negatives"))).alias("auc"), "positives", "negatives")
+    return out.select(*by, F.try_divide("w", F.col("positives") * F.col("negatives")).alias("auc"), "positives", "negatives")
 
 
 def auc_np(score: np.ndarray, y: np.ndarray) -> float:
@@ -26,7 +27,8 @@ def auc_np(score: np.ndarray, y: np.ndarray) -> float:
     group = np.cumsum(start) - 1
     pos, neg = np.bincount(group, weights=y), np.bincount(group, weights=1 - y)
     below = np.cumsum(neg) - neg
-    return float((pos * (below + neg / 2)).sum() / (pos.sum() * neg.sum()))
+    both = pos.sum() * neg.sum()
+    return float((pos * (below + neg / 2)).sum() / both) if both else float("nan")
 
 
 def mean_loss(samples: DataFrame, loss, margin: Column) -> DataFrame:
@@ -36,9 +38,9 @@ def mean_loss(samples: DataFrame, loss, margin: Column) -> DataFrame:
 
 
 def gradient_error(pairs: DataFrame, got: str, exact: str, by: tuple[str, ...] = ()) -> DataFrame:
-    """Relative distance of two long vectors."""
+    """Relative distance of two long vectors; null where the exact one is 0."""
     d = F.col(got) - F.col(exact)
-    return pairs.groupBy(*by).agg((F.sqrt(F.sum(d * d)) / F.sqrt(F.sum(F.col(exact) * F.col(exact)))).alias("error"))
+    return pairs.groupBy(*by).agg(F.try_divide(F.sqrt(F.sum(d * d)), F.sqrt(F.sum(F.col(exact) * F.col(exact)))).alias("error"))
 
 
 def representation(samples: DataFrame, used: Column, bucket: str) -> DataFrame:
@@ -52,7 +54,7 @@ def communication(trace: DataFrame) -> DataFrame:
     One row a worker reaches the window."""
     by = trace.groupBy("worker").agg(F.avg("delay_ms").alias("mean_ms"), F.stddev_samp("delay_ms").alias("std_ms"), F.count("*").alias("rounds"))
     typical = by.agg(F.expr("percentile(mean_ms, 0.5)").alias("typical"))
-    return by.crossJoin(F.broadcast(typical)).withColumn("ratio", F.col("mean_ms") / F.col("typical")).drop("typical")
+    return by.crossJoin(F.broadcast(typical)).withColumn("ratio", F.try_divide("mean_ms", F.col("typical"))).drop("typical")
 
 
 def load(scheme: str, n: int, s: int, alpha: float = 1.0) -> dict[str, float]:

@@ -3,6 +3,7 @@
 
 from collections.abc import Iterator
 from itertools import combinations
+from math import comb
 
 import numpy as np
 import pandas as pd
@@ -27,6 +28,10 @@ class CodeMatrix:
 
 class Patterns:
     def eval(self, n: int, s: int) -> Iterator[tuple]:
+        from evenkeel.operators.decode import MOST_PATTERNS
+
+        if comb(n, s) > MOST_PATTERNS:
+            raise ValueError(f"{comb(n, s)} patterns")
         for i, alive in enumerate(combinations(range(n), n - s)):
             yield i, list(alive)
 

@@ -6,7 +6,8 @@ arrow    features are an array column; one matrix product a batch (p from ~32)
 sparse   features are (index, value) pairs; the model is an array that is broadcast up
          to ``broadcast_limit`` bytes and a table joined by index beyond it
 
-Samples have ``block`` and ``y``.  Only one partial vector a task and block leaves the
+Samples have ``block`` and ``y``.  A sample with a null label or feature, or null features, is
+left out by each of them (``complete`` does so beforehand, for counts).  Only one partial vector a task and block leaves the
 scan; data are never copied by worker.
 """
 
@@ -16,6 +17,7 @@ from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -29,6 +31,21 @@ def kernel_for(p: int, sparse: bool = False) -> str:
     return "sparse" if sparse else "wide" if p <= 16 else "arrow"
 
 
+def complete(samples: DataFrame, kernel: str, columns: Sequence[str] = ()) -> DataFrame:
+    """The samples that take part in gradients."""
+    there = F.col("y").isNotNull()
+    if kernel == "wide":
+        for c in columns:
+            there &= F.col(c).isNotNull()
+    elif kernel == "sparse":
+        there &= F.col("xs").isNotNull() & ~F.exists("xs", lambda e: e["val"].isNull() | e["idx"].isNull())
+    else:
+        there &= F.col("x").isNotNull()
+        if samples.schema["x"].dataType.containsNull:
+            there &= F.array_size(F.array_compact("x")) == F.array_size("x")
+    return samples.where(there)
+
+
 def margin_wide(beta: Sequence[float], columns: Sequence[str]) -> Column:
     return sum((F.col(c) * float(b) for c, b in zip(columns, beta, strict=True)), F.lit(0.0))
 
@@ -37,7 +54,7 @@ def partial_wide(samples: DataFrame, loss, beta: Sequence[float], columns: Seque
     """``by``, g1..gp, rows."""
     resid = samples.select(*by, *columns, loss.slope(margin_wide(beta, columns), F.col("y")).alias("resid"))
     sums = [F.sum(F.col("resid") * F.col(c)).alias(f"g{j}") for j, c in enumerate(columns, 1)]
-    return resid.groupBy(*by).agg(*sums, F.count("*").alias("rows"))
+    return resid.groupBy(*by).agg(*sums, F.count("resid").alias("rows"))
 
 
 def long_form(wide: DataFrame, p: int, by: Sequence[str] = ("block",)) -> DataFrame:
@@ -67,7 +84,11 @@ def partial_arrow(samples: DataFrame, loss, beta: np.ndarray) -> DataFrame:
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         b, total = model.value, {}
         for batch in batches:
+            batch = batch.filter(pa.compute.and_(batch.column("x").is_valid(), batch.column("y").is_valid()))
             x, y, block = _matrix(batch.column("x"), len(b)), batch.column("y").to_numpy(), batch.column("block").to_numpy()
+            if batch.column("x").flatten().null_count:
+                ok = ~np.isnan(x).any(axis=1)
+                x, y, block = x[ok], y[ok], block[ok]
             resid = loss.slope_np(x @ b, y)
             for k in np.unique(block):
                 own = block == k
@@ -94,14 +115,15 @@ def partial_sparse(samples: DataFrame, loss, beta: np.ndarray, limit: int | None
             flat = xs.flatten()
             v = model.value[flat.field("idx").to_numpy()] * flat.field("val").to_numpy(zero_copy_only=False)
             owner = np.repeat(np.arange(len(xs)), xs.value_lengths().fill_null(0).to_numpy())
-            return pa.array(np.bincount(owner, weights=v, minlength=len(xs)) if len(v) else np.zeros(len(xs)))
+            m = np.bincount(owner, weights=v, minlength=len(xs)) if len(v) else np.zeros(len(xs))
+            return pa.array(m, mask=np.isnan(m))  # a null among the values: no part of the sum
 
         resid = samples.select("block", "xs", loss.slope(margin("xs"), F.col("y")).alias("resid"))
         each = resid.select("block", "resid", entries)
     else:  # the model is a table: join entries with their weights, sum up the margins
         there = np.flatnonzero(beta)
-        table = spark.createDataFrame([(int(i), float(beta[i])) for i in there], "idx int, beta double")
-        flat = samples.select("row_id", "block", "y", entries)
+        table = spark.createDataFrame(pa.table({"idx": there.astype(np.int32), "beta": np.asarray(beta, dtype=float)[there]}))
+        flat = complete(samples, "sparse").select("row_id", "block", "y", entries)
         m = flat.join(table, flat["e.idx"] == table["idx"], "left").groupBy("row_id").agg(F.sum(F.coalesce("beta", F.lit(0.0)) * F.col("e.val")).alias("margin"))
         each = flat.join(m, "row_id").select("block", loss.slope(F.col("margin"), F.col("y")).alias("resid"), "e")
     return each.groupBy("block", F.col("e.idx").alias("idx")).agg(F.sum(F.col("resid") * F.col("e.val")).alias("g"))

@@ -63,9 +63,9 @@ def late_table(spark: SparkSession, rounds: int, n: int, s: int, seed: str = "de
     return cells.withColumn("h", h).withColumn("late", place <= s).select("round", "worker", "late")
 
 
-def trace_from_events(events: DataFrame, n: int, most_rounds: int = 100) -> DataFrame:
+def trace_from_events(events: DataFrame, n: int, most_rounds: int | None = None) -> DataFrame:
     """round, worker, delay_ms: ``value`` of the events of a worker's users in order of time.
-    One row an event; rounds beyond ``most_rounds`` are not needed."""
+    One row an event; with ``most_rounds``, of the first rounds only."""
     worker = F.pmod("user_id", F.lit(n)).cast("int")
     place = F.row_number().over(W.partitionBy("worker").orderBy("ts", "event_id"))
-    return events.select(worker.alias("worker"), "ts", "event_id", "value").withColumn("round", place).where(F.col("round") <= most_rounds).select("round", "worker", F.col("value").alias("delay_ms"))
+    return events.select(worker.alias("worker"), "ts", "event_id", "value").withColumn("round", place).where(F.lit(True) if most_rounds is None else F.col("round") <= most_rounds).select("round", "worker", F.col("value").alias("delay_ms"))

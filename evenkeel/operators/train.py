@@ -28,6 +28,17 @@ class FitResult:
         return spark.createDataFrame(pd.DataFrame(self.trace))
 
 
+def _combined(long: DataFrame, weights: np.ndarray, p: int, first: int) -> tuple[np.ndarray, np.ndarray]:
+    """The weighted sum of block gradients, and the plain one: added up on executors, 2 p floats
+    come to the driver whatever the number of blocks."""
+    w = F.element_at(F.lit([float(x) for x in weights]), F.col("block") + 1)
+    frame = long.groupBy("idx").agg(F.sum(w * F.col("g")).alias("g"), F.sum("g").alias("exact")).toPandas()
+    out = np.zeros((2, p))
+    at = frame["idx"].to_numpy(dtype=int) - first
+    out[0, at], out[1, at] = frame["g"].to_numpy(), frame["exact"].to_numpy()
+    return out[0], out[1]
+
+
 def _matrix(long: DataFrame, k: int, p: int, first: int) -> np.ndarray:
     """Block gradients as k x p on the driver: the master's own part of the work."""
     out, frame = np.zeros((k, p)), long.toPandas()
@@ -46,15 +57,16 @@ def fit(samples: DataFrame, key: str, scheme, loss, optimizer: Optimizer, rounds
     """Train on ``samples`` (``key``, ``y``, features).
 
     Each round is one scan of the persisted samples; the model (p floats) goes out with the
-    plan, k x p block gradients come back, and the scheme decides what of them is used
-    and when.  ``batches`` > 1 takes one part of the samples a round, in turn.
+    plan.  Who answers when does not depend on the gradients: the scheme tells beforehand with
+    which weights the blocks come into the sum, and executors add them up.  ``batches`` > 1 takes
+    one part of the samples a round, in turn.
     """
     if optimizer.needs_exact and not scheme.exact and not allow_unstable:
         raise ValueError(f"{type(optimizer).__name__} is unstable under the inexact gradients of {scheme.name}")
     p = len(optimizer.beta)
     kernel = kernel or gradient.kernel_for(p)
     first = 0 if kernel == "sparse" else 1
-    staged = isinstance(scheme, TwoStage)
+    samples, staged = gradient.complete(samples, kernel, columns), isinstance(scheme, TwoStage)
     if staged:  # plain blocks first, then coded ones: both stages in one scan
         n, k = scheme.n, scheme.n + scheme.code.inner.k
         placed = placement.assign_two_stage(samples, F.col(key), scheme.code)
@@ -69,18 +81,20 @@ def fit(samples: DataFrame, key: str, scheme, loss, optimizer: Optimizer, rounds
     try:
         for t in range(rounds):
             b = t % batches
-            g = _matrix(gradient.partial_gradients(held[b], loss, optimizer.point(), kernel, columns), k, p, first)
+            nothing = np.broadcast_to(np.zeros(1), (k, p))
             delays = stragglers.of_round(t, scheme.n)
             if staged:
-                done = scheme.round(g[:n], g[n:], rows[b][:n], rows[b][n:], delays, costs)
+                done = scheme.round(nothing[:n], nothing[n:], rows[b][:n], rows[b][n:], delays, costs)
+                weights = np.append(np.ones(n), done.blocks)
             else:
-                done = scheme.round(g, rows[b], delays, costs)
-            exact = g.sum(axis=0)
-            optimizer.step(done.gradient / max(rows[b].sum() * (done.share or 1.0), 1.0))
+                done = scheme.round(nothing, rows[b], delays, costs)
+                weights = done.blocks
+            g, exact = _combined(gradient.partial_gradients(held[b], loss, optimizer.point(), kernel, columns), weights, p, first)
+            optimizer.step(g / max(rows[b].sum() * (done.share or 1.0), 1.0))
             total += done.round_ms
             if keep_betas:
                 betas.append(optimizer.beta.copy())
-            trace.append({"scheme": scheme.name, "round": t + 1, "round_ms": done.round_ms, "cum_ms": total, "used": len(done.used), "vectors": done.vectors, "control": done.control, "share": done.share, "residual": done.residual, "gradient_error": float(np.linalg.norm(done.gradient - exact) / max(np.linalg.norm(exact), 1e-300))})
+            trace.append({"scheme": scheme.name, "round": t + 1, "round_ms": done.round_ms, "cum_ms": total, "used": len(done.used), "vectors": done.vectors, "control": done.control, "share": done.share, "residual": done.residual, "gradient_error": float(np.linalg.norm(g - exact) / max(np.linalg.norm(exact), 1e-300))})
     finally:
         for h in held:
             h.unpersist()
@@ -91,7 +105,7 @@ def tune_rate(samples: DataFrame, loss, rates: Sequence[float], rounds: int, col
     """Mean loss after ``rounds`` for each rate, all models in one scan a round.  ``make``
     (p, rate) gives an optimiser; samples need ``block`` and ``y``."""
     models = [make(len(columns), r) for r in rates]
-    held = samples.select("block", "y", *columns).persist()
+    held = gradient.complete(samples, "wide", columns).select("block", "y", *columns).persist()
     d = held.count()
     try:
         for _ in range(rounds):

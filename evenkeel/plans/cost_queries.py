@@ -130,23 +130,22 @@ select r as row_ms, f as float_ms, x as best from k where n = 1"""
 
 # --- natural delays, from events -------------------------------------------------------
 
-_TRACE_SQL = """select (user_id % {n})::int as worker, row_number() over (partition by user_id % {n} order by ts, event_id)::int as round, value as delay_ms from events
-  qualify row_number() over (partition by user_id % {n} order by ts, event_id) <= 100"""
+_TRACE_SQL = """select (user_id % {n})::int as worker, row_number() over (partition by user_id % {n} order by ts, event_id)::int as round, value as delay_ms from events"""
 
 
-def _trace(spark, sf_dir, n=50):
-    return trace_from_events(datasets.read(spark, sf_dir, "events"), n)
+def _trace(spark, sf_dir, n=50, most_rounds=None):
+    return trace_from_events(datasets.read(spark, sf_dir, "events"), n, most_rounds)
 
 
 def comm_profile(spark, sf_dir):
     """Mean and deviation of each worker's delays over 100 rounds, and against the typical."""
-    c = metrics.communication(_trace(spark, sf_dir))
+    c = metrics.communication(_trace(spark, sf_dir, most_rounds=100))
     return c.select("worker", F.round("mean_ms", 6).alias("mean_ms"), F.round("std_ms", 6).alias("std_ms"), "rounds", F.round("ratio", 6).alias("ratio"))
 
 
 QUERIES["comm_profile"] = comm_profile
 ORACLES["comm_profile"] = f"""
-with m as (select worker, avg(delay_ms) as a, stddev_samp(delay_ms) as sd, count(*) as rounds from ({_TRACE_SQL.format(n=50)}) group by worker)
+with m as (select worker, avg(delay_ms) as a, stddev_samp(delay_ms) as sd, count(*) as rounds from ({_TRACE_SQL.format(n=50)}) where round <= 100 group by worker)
 select worker, round(a, 6) as mean_ms, round(sd, 6) as std_ms, rounds, round(a / median(a) over (), 6) as ratio from m"""
 
 

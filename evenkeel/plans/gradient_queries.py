@@ -220,3 +220,46 @@ QUERIES["embed_grad0"] = embed_grad0
 ORACLES["embed_grad0"] = """
 select i::int as idx, round(sum((0.5 - case when label = 0 then 1 else 0 end) * embedding[i]::double), 5) + 0.0 as g
 from embeddings, generate_series(1, 64) t(i) group by i"""
+
+
+_ONE_HOT_JOIN = """lineitem join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join part on l_partkey = p_partkey
+join supplier on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey"""
+_PLACES = ", ".join(f"({hashing.sql_number(' || chr(124) || '.join(f'{chr(39)}{c}={chr(39)} || {c}' for c in t))} % {datasets.ONE_HOT})::int" for t in datasets.INTERACTIONS)
+
+
+def one_hot_sql() -> str:
+    """id, y, idx of ``datasets.star_one_hot``; rows with the same categories and label come in
+    as one with their number ``rows``."""
+    kept = ", ".join(datasets.CATEGORIES)
+    return f"""select row_number() over () as id, y, rows, unnest(list_distinct([{_PLACES}])) as idx
+  from (select {kept}, case when l_returnflag = 'R' then 1.0 else 0.0 end::double as y, count(*) as rows from {_ONE_HOT_JOIN} group by all)"""
+
+
+def onehot_grad0(spark, sf_dir):
+    """First gradient on one-hot categories with pairs and threes of them, p = 241,915."""
+    d = datasets.star_one_hot(spark, sf_dir).withColumn("block", F.lit(0))
+    return gradient.partial_sparse(d, Logistic(), np.zeros(datasets.ONE_HOT)).select(F.col("idx").cast("int").alias("idx"), "g")
+
+
+QUERIES["onehot_grad0"] = onehot_grad0
+ORACLES["onehot_grad0"] = f"select idx, sum((0.5 - y) * rows)::double as g from ({one_hot_sql()}) group by idx"
+
+
+def onehot_gd2(spark, sf_dir):
+    """Two steps on them through a ring code of ten workers, one late."""
+    from evenkeel.operators import optim, schemes, train
+
+    d = datasets.star_one_hot(spark, sf_dir)
+    done = train.fit(d, "key", schemes.build("ring", 10, 1), Logistic(), optim.GD(datasets.ONE_HOT, 2.0), 2, Stragglers("additive", s=1, delay_ms=100.0), kernel="sparse")
+    there = np.flatnonzero(done.beta)
+    return spark.createDataFrame([(int(i), float(round(done.beta[i], 6)) + 0.0) for i in there], "idx int, beta double").where("abs(beta) >= 0.001")
+
+
+QUERIES["onehot_gd2"] = onehot_gd2
+ORACLES["onehot_gd2"] = f"""
+with total as (select count(*) as n from {_ONE_HOT_JOIN}),
+s as materialized ({one_hot_sql()}),
+b1 as materialized (select idx, -2.0 * sum((0.5 - y) * rows) / any_value(n) as b from s, total group by idx),
+m as materialized (select id, any_value(y) as y, any_value(rows) as rows, 1 / (1 + exp(-sum(b))) as p from s join b1 using (idx) group by id),
+g as (select idx, sum((m.p - m.y) * m.rows) as g from s join m using (id) group by idx)
+select idx, round(b - 2.0 * g / n, 6) + 0.0 as beta from b1 join g using (idx), total where abs(round(b - 2.0 * g / n, 6)) >= 0.001"""

@@ -26,10 +26,10 @@ def planted_sql() -> str:
     {hashing.sql_number("'holdout-' || key")} % 5 = 0 as holdout, ({hashing.sql_number("key")} % 12)::int as block from raw"""
 
 
-def _model(scheme, make, stragglers=LATE):
+def _model(scheme, make, stragglers=LATE, rounds=ROUNDS):
     def run(spark, sf_dir):
         samples = datasets.lineitem_planted(spark, sf_dir).where("not holdout")
-        done = train.fit(samples, "key", scheme(), Logistic(), make(), ROUNDS, stragglers, columns=X)
+        done = train.fit(samples, "key", scheme(), Logistic(), make(), rounds, stragglers, columns=X)
         return spark.createDataFrame([(j, float(round(b, 6)) + 0.0) for j, b in enumerate(done.beta, 1)], "idx int, beta double")
 
     return run
@@ -40,11 +40,11 @@ def _vector(prefix: str) -> str:
 
 
 def _unrolled(kind: str, drop: bool = False) -> str:
-    """``kind`` gd, decay, nag, prox or fw."""
+    """``kind`` gd, decay, nag, prox, aprox or fw."""
     parts = [f"s as materialized (select * from ({planted_sql()}) where not holdout)", "d as (select count(*)::double as d from s)"]
     parts.append("b0 as (select " + ", ".join(f"0.0::double as b{j}, 0.0::double as a{j}" for j in range(1, P + 1)) + ")")
     for t in range(ROUNDS):
-        point = "a" if kind == "nag" else "b"
+        point = "a" if kind in ("nag", "aprox") else "b"
         m = " + ".join(f"x{j} * {point}{j}" for j in range(1, P + 1))
         alive = f"where block not in (select w from (select w, row_number() over (order by {hashing.sql_number(f'chr(100) || {chr(39)}elay-{t}-{chr(39)} || w')}, w) as n from generate_series(0, 11) q(w)) where n <= 2)" if drop else ""
         sums = ", ".join(f"sum((1 / (1 + exp(-({m}))) - y) * x{j}) / {'count(*)' if drop else 'any_value(d)'} as g{j}" for j in range(1, P + 1))
@@ -55,6 +55,10 @@ def _unrolled(kind: str, drop: bool = False) -> str:
             if kind == "prox":
                 move = [f"sign({x}) * greatest(abs({x}) - {2.0 * 0.02}, 0)" for x in move]
             new = ", ".join(f"({x})::double as b{j}, 0.0::double as a{j}" for j, x in enumerate(move, 1))
+        elif kind == "aprox":
+            c = f"({t}::double / ({t} + 3))"
+            prox = [f"(sign(a{j} - 2.0 * g{j}) * greatest(abs(a{j} - 2.0 * g{j}) - {2.0 * 0.02}, 0))" for j in range(1, P + 1)]
+            new = ", ".join(f"({x})::double as b{j}, ({x} + {c} * ({x} - b{j}))::double as a{j}" for j, x in enumerate(prox, 1))
         elif kind == "nag":
             c = f"({t}::double / ({t} + 3))"
             new = ", ".join(f"a{j} - 2.0 * g{j} as b{j}, (a{j} - 2.0 * g{j}) + {c} * ((a{j} - 2.0 * g{j}) - b{j}) as a{j}" for j in range(1, P + 1))
@@ -86,8 +90,9 @@ for name, (scheme, make, kind) in _RUNS.items():
     ORACLES[name] = _unrolled(kind)
 QUERIES["drop_s5"] = _model(lambda: schemes.build("drop_s", 12, 2), lambda: optim.DecayGD(P, 20.0, 10.0))
 ORACLES["drop_s5"] = _unrolled("decay", drop=True).replace("chr(100) || 'elay-", "'delay-")
-QUERIES["lbfgs10_block"] = _model(_plain, lambda: optim.LBFGS(P, first=2.0))
+QUERIES["lbfgs10_block"] = _model(_plain, lambda: optim.LBFGS(P, first=2.0), rounds=10)
 QUERIES["accelerated_prox5"] = _model(_plain, lambda: optim.AcceleratedProx(P, 2.0, 0.02))
+ORACLES["accelerated_prox5"] = _unrolled("aprox")
 
 
 def loss_trace(spark, sf_dir):
@@ -144,6 +149,64 @@ select x5, round((sum(case when y = 1 then low + (ties - 1) / 2.0 else 0 end)::d
   sum(y) as positives, sum(1 - y) as negatives from r group by x5"""
 
 
+def auc_by_round(spark, sf_dir):
+    """Area under the curve on the holdout after each round of gd5, all models in one scan."""
+    d = datasets.lineitem_planted(spark, sf_dir)
+    done = train.fit(d.where("not holdout"), "key", _plain(), Logistic(), optim.GD(P, 2.0), ROUNDS, LATE, columns=X, keep_betas=True)
+    scores = F.array(*[F.round(gradient.margin_wide(b, X), 9) for b in done.betas])
+    each = d.where("holdout").select("y", F.posexplode(scores).alias("t", "score"))
+    return metrics.auc(each, by=("t",)).select((F.col("t") + 1).alias("round"), F.round("auc", 6).alias("auc"))
+
+
+QUERIES["auc_by_round"] = auc_by_round
+ORACLES["auc_by_round"] = _unrolled("gd").rsplit("\n", 1)[0] + f""", h as (select * from ({planted_sql()}) where holdout),
+scored as ({" union all ".join(f"select {t}::int as round, y, round({' + '.join(f'x{j} * b{j}' for j in range(1, P + 1))}, 9) as score from h, b{t}" for t in range(1, ROUNDS + 1))}),
+ranked as (select round, y, rank() over (partition by round order by score) as low, count(*) over (partition by round, score) as ties from scored)
+select round, round((sum(case when y = 1 then low + (ties - 1) / 2.0 else 0 end)::double - sum(y) * (sum(y) + 1) / 2) / (sum(y) * sum(1 - y)), 6) as auc from ranked group by round"""
+
+
+def nag_drop_s(spark, sf_dir):
+    """Why inexact gradients are not accelerated: loss on the holdout after each of 12 rounds of
+    accelerated descent with all blocks and with two of twelve dropped."""
+    d, rows = datasets.lineitem_planted(spark, sf_dir), []
+    for name, s in (("ring", 2), ("drop_s", 2)):
+        done = train.fit(d.where("not holdout"), "key", schemes.build(name, 12, s), Logistic(), optim.NAG(P, 4.0), 12, LATE, columns=X, allow_unstable=True, keep_betas=True)
+        losses = d.where("holdout").agg(*[F.avg(Logistic().value(gradient.margin_wide(b, X), F.col("y"))) for b in done.betas]).first()
+        rows += [(name, r["round"], r["gradient_error"], float(v)) for r, v in zip(done.trace, losses, strict=True)]
+    return spark.createDataFrame(rows, "scheme string, round int, gradient_error double, loss double")
+
+
+QUERIES["nag_drop_s"] = nag_drop_s
+DOC_P, DOC_RATE = 512, 1.0
+
+
+def train_docs_quality(spark, sf_dir):
+    """Quality of documents from hashed words: the model after two steps through a ring code."""
+    d = datasets.document_tokens(spark, sf_dir, "quality", DOC_P).select("row_id", "key", "y", "xs")
+    done = train.fit(d, "key", schemes.build("ring", 6, 1), Logistic(), optim.GD(DOC_P, DOC_RATE), 2, Stragglers("additive", s=1, delay_ms=100.0), kernel="sparse")
+    return spark.createDataFrame([(i, float(round(b, 6)) + 0.0) for i, b in enumerate(done.beta) if b], "idx int, beta double")
+
+
+QUERIES["train_docs_quality"] = train_docs_quality
+
+
+def two_steps_sql(samples: str, rate: float) -> str:
+    """The model after two steps, of ``samples`` (id, y, idx) without repeats, with all rows'
+    number in the table ``total``."""
+    return f"""
+s as materialized ({samples}),
+b1 as materialized (select idx, -{rate} * sum(0.5 - y) / any_value(n) as b from s, total group by idx),
+m as materialized (select id, any_value(y) as y, 1 / (1 + exp(-sum(b))) as p from s join b1 using (idx) group by id),
+g as (select idx, sum(m.p - m.y) as g from s join m using (id) group by idx)
+select idx, round(b - {rate} * g / n, 6) + 0.0 as beta from b1 join g using (idx), total"""
+
+
+ORACLES["train_docs_quality"] = f"""
+with total as (select count(*) as n from documents join labels using (doc_id)),
+w as (select doc_id, quality::double as y, unnest(string_split_regex(lower(text), '[^a-z]+')) as w from documents join labels using (doc_id)),
+{two_steps_sql(f"select distinct doc_id as id, y, ({hashing.sql_number('w')} % {DOC_P})::int as idx from w where w <> ''", DOC_RATE)}"""
+
+
 def rate_grid(spark, sf_dir):
     """Mean training loss after three rounds for a grid of rates, tuned in shared scans."""
     d = datasets.lineitem_planted(spark, sf_dir).where("not holdout").withColumn("block", F.lit(0))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -53,20 +55,22 @@ def lineitem_planted(spark: SparkSession, sf_dir: str) -> DataFrame:
     return x.withColumn("y", y).withColumn("holdout", F.pmod(hashing.md5_number(F.concat(F.lit("holdout-"), "key")), F.lit(5)) == 0)
 
 
-def mixture_logistic(spark: SparkSession, d: int, p: int, seed: int = 1, partitions: int | None = None) -> DataFrame:
-    """key, x (array), y from two Gaussians around +-1.5/p beta and labels by the logistic
-    of -2 x beta.  Normals come from hashes of (seed, row, column), not from a generator
+def mixture_logistic(spark: SparkSession, d: int, p: int, seed: int = 1, partitions: int | None = None, centres: str = "random") -> DataFrame:
+    """key, x (array), y from two Gaussians of equal weight and labels by the logistic of
+    -2 x beta.  Their centres are drawn from normals, or with ``centres="opposite"`` are
+    +-1.5/p beta.  Normals come from hashes of (seed, row, column), not from a generator
     that depends on the partitioning."""
     beta = true_beta(p, seed)
-    shift = F.lit([float(1.5 / p * b) for b in beta])
+    drawn = np.random.default_rng([seed, 2]).standard_normal((2, p)) if centres == "random" else np.stack([1.5 / p * beta, -1.5 / p * beta])
+    one, other = (F.lit([float(v) for v in c]) for c in drawn)
 
     def uniform(tag: str) -> Column:
         return F.transform(F.sequence(F.lit(1), F.lit(p)), lambda j: (F.pmod(F.xxhash64(F.lit(f"{seed}{tag}"), "id", j), F.lit(1 << 40)) + 0.5) / float(1 << 40))
 
     normal = F.zip_with(uniform("a"), uniform("b"), lambda a, b: F.sqrt(-2 * F.log(a)) * F.cos(b * float(2 * np.pi)))
-    side = F.when(F.pmod(F.xxhash64(F.lit(f"{seed}side"), "id"), F.lit(2)) == 0, 1.0).otherwise(-1.0)
+    centre = F.when(F.pmod(F.xxhash64(F.lit(f"{seed}side"), "id"), F.lit(2)) == 0, one).otherwise(other)
     rows = spark.range(0, d, 1, partitions) if partitions else spark.range(d)
-    x = rows.select(F.col("id").alias("key"), "id", F.zip_with(normal, shift, lambda z, m: z + m * side).alias("x"))
+    x = rows.select(F.col("id").alias("key"), "id", F.zip_with(normal, centre, lambda z, m: z + m).alias("x"))
     margin = F.aggregate(F.zip_with("x", F.lit([float(b) for b in beta]), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
     u = (F.pmod(F.xxhash64(F.lit(f"{seed}label"), "id"), F.lit(1 << 40)) + 0.5) / float(1 << 40)
     return x.select("key", "x", (u < 1 / (1 + F.exp(2 * margin))).cast("double").alias("y"))
@@ -103,6 +107,23 @@ def star(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.join(t["nation"].select("n_nationkey", "n_name"), F.col("s_nationkey") == F.col("n_nationkey"))
 
 
+#: Columns of the star that become indicators, alone and in pairs and threes.
+CATEGORIES = ("p_brand", "p_type", "n_name", "c_nationkey", "c_mktsegment", "o_orderpriority")
+INTERACTIONS = tuple(c for k in (1, 2, 3) for c in combinations(CATEGORIES, k))
+#: Features after one-hot encoding with interactions.
+ONE_HOT = 241_915
+
+
+def star_one_hot(spark: SparkSession, sf_dir: str, p: int = ONE_HOT) -> DataFrame:
+    """key, y (returned), xs: one indicator for each category and each pair and three of them,
+    at a place by hash among ``p``."""
+    d = star(spark, sf_dir)
+    named = [F.concat_ws("|", *[F.concat_ws("=", F.lit(c), F.col(c).cast("string")) for c in t]) for t in INTERACTIONS]
+    places = F.array_distinct(F.array(*[F.pmod(hashing.md5_number(x), F.lit(p)).cast("int") for x in named]))
+    xs = F.transform(places, lambda i: F.struct(i.alias("idx"), F.lit(1.0).alias("val")))
+    return d.select(_row_key().alias("key"), (F.col("l_returnflag") == "R").cast("double").alias("y"), xs.alias("xs"))
+
+
 def embeddings_dense(spark: SparkSession, sf_dir: str, label: int = 0) -> DataFrame:
     e = read(spark, sf_dir, "embeddings")
     return e.select(F.col("vec_id").alias("key"), (F.col("label") == label).cast("double").alias("y"), F.col("embedding").cast("array<double>").alias("x"))

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from evenkeel.operators.codes import Code
-from evenkeel.operators.decode import Decoder
+from evenkeel.operators import decode
 
 MESSAGE = "round int, worker int, vec array<double>, sent_at timestamp"
 RESULT = "round int, used array<int>, g array<double>, messages int"
@@ -33,7 +33,7 @@ def aggregate_rounds(messages: DataFrame, code: Code, watermark: str = "10 minut
         batch = pd.concat(list(frames)).sort_values(["sent_at", "worker"], kind="stable")
         latest = max(latest, int(batch["sent_at"].max().timestamp() * 1000))
         if not done:
-            decoder = Decoder(code)
+            decoder = decode.shared(code)
             width = len(batch["vec"].iloc[0])
             for w, vec in zip(batch["worker"], batch["vec"], strict=True):
                 if done or int(w) in workers:
