@@ -7,11 +7,13 @@ import shutil
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import functions as F
 
+from evenkeel import hashing
 from evenkeel.functions import metrics, sql_surface
 from evenkeel.functions.losses import L2, Logistic
-from evenkeel.operators import codes, gradient, live, optim, placement, schemes, train
+from evenkeel.operators import codes, decode, gradient, live, optim, placement, schemes, train
 from evenkeel.operators.clock import Costs
 from evenkeel.operators.stragglers import Stragglers, trace_from_events
 from evenkeel.plans.gradient_queries import X as INTEGER
@@ -22,41 +24,100 @@ from evenkeel.sources import datasets, pyds
 QUERIES, ORACLES = {}, {}
 
 
-def artificial_run_times(spark, sf_dir, rounds: int = 10):
-    """Logistic model on a mixture of two Gaussians, 12 workers, 1 or 2 stragglers with
-    growing delays: mean virtual time a round of all schemes.
+N, P, ROUNDS = 12, 100, 10
+#: Delays as multiples of a round without any.
+DELAYS = (0.0, 0.5, 1.0, 2.0, 4.0, 8.0)
+COSTS = Costs(row_ms=0.001, float_ms=0.0001)
+#: scheme, alpha (0: not two-stage).
+SCHEMES = [*((x, 0.0) for x in ("uncoded", "drop_s", "block", "ring", "full_copy")), *((f"two_stage_{inner}", a) for inner in ("block", "ring") for a in (1.2, 1.5, 2.0))]
 
-    The samples are read once a model point; what each scheme makes of the same block
-    gradients is exact, so the schemes share the scans."""
-    d = max(2000, round(554_400 / 600_000 * datasets.read(spark, sf_dir, "lineitem").count()))
-    p, n = 100, 12
-    samples = placement.assign_blocks(datasets.mixture_logistic(spark, d, p), F.col("key"), n)
-    held = samples.persist()
-    counts = train._counts(held, n)
-    g = train._matrix(gradient.partial_arrow(held, Logistic(), np.zeros(p)), n, p, 1)
-    held.unpersist()
-    costs, rows = Costs(row_ms=0.001, float_ms=0.0001), []
-    typical = d / n * costs.row_ms + p * costs.float_ms + costs.latency_ms
+
+def _size(spark, sf_dir) -> int:
+    """As many samples for a table of lineitem as 554,400 are for 600,000 rows."""
+    return max(2000, round(0.924 * datasets.read(spark, sf_dir, "lineitem").count()))
+
+
+def artificial_round_times(spark, sf_dir):
+    """Artificial samples on 12 workers, 1 or 2 of which are late in each of ten rounds: when each
+    round of each scheme ends.  Every scheme has its own placement; two-stage is placed by share."""
+    d, rows = _size(spark, sf_dir), []
+    keys = spark.range(d).withColumnRenamed("id", "key")
+    typical = d / N * COSTS.row_ms + P * COSTS.float_ms + COSTS.latency_ms
+    plain = train._counts(placement.assign_blocks(keys, F.col("key"), N), N)
     for s in (1, 2):
-        made = [(x, 0.0, schemes.build(x, n, s)) for x in ("uncoded", "drop_s", "block", "ring", "full_copy", "feedback_replica")]
-        made += [(f"two_stage_{inner}", a, schemes.build(f"two_stage_{inner}", n, s, a)) for inner in ("block", "ring") for a in (1.2, 1.5, 2.0)]
-        for times in (0, 0.5, 1, 2, 4, 8):
-            late = Stragglers("additive", s=s, delay_ms=times * typical)
-            for name, alpha, scheme in made:
-                ms = []
-                for t in range(rounds):
-                    delays = late.of_round(t, n)
-                    if alpha:  # the same samples, split by share
-                        a, b = scheme.code.plain_share, scheme.code.coded_share
-                        done = scheme.round(a * g, b * g, a * counts, b * counts, delays, costs)
-                    else:
-                        done = scheme.round(g, counts, delays, costs)
-                    ms.append(done.round_ms)
-                rows.append((name, s, alpha, float(times), float(np.mean(ms)), float(np.std(ms)), scheme.load))
-    return spark.createDataFrame(rows, "scheme string, s int, alpha double, delay_of_round double, mean_ms double, std_ms double, load double")
+        for name, alpha in SCHEMES:
+            scheme = schemes.build(name, N, s, alpha or 1.5)
+            if alpha:
+                both = placement.assign_two_stage(keys, F.col("key"), scheme.code).groupBy("stage", "block").count().collect()
+                parts = [np.array([sum(r["count"] for r in both if r["stage"] == stage and r["block"] == b) for b in range(N)], dtype=float) for stage in ("plain", "coded")]
+            for times in DELAYS:
+                late = Stragglers("additive", s=s, delay_ms=times * typical)
+                for t in range(ROUNDS):
+                    g, delays = np.zeros((N, P)), late.of_round(t, N)
+                    done = scheme.round(g, g, *parts, delays, COSTS) if alpha else scheme.round(g, plain, delays, COSTS)
+                    rows.append((name, s, alpha, times, t, round(done.round_ms, 6)))
+    return spark.createDataFrame(rows, "scheme string, s int, alpha double, delay_of_round double, round int, round_ms double")
+
+
+def _artificial_sql() -> str:
+    c = COSTS
+    send, typical = P * c.float_ms, f"d / {N}.0::double * {c.row_ms}::double + {P * c.float_ms + c.latency_ms}::double"
+    shares = ", ".join(f"({s}, {a}::double, {int((s + 1) / (s + a) * (1 << 32))})" for s in (1, 2) for a in (1.2, 1.5, 2.0))
+    names = ", ".join(f"('{x}', {a}::double)" for x, a in SCHEMES)
+    return f"""
+with size as (select greatest(2000, round(0.924 * count(*)))::bigint as d from lineitem),
+k as (select {hashing.sql_number("i::varchar")} as h, ({hashing.sql_number("'block-' || i::varchar")} % {N})::int as other from (select unnest(generate_series(0, (select d - 1 from size))) as i)),
+whole as (select (h % {N})::int as block, count(*) as n from k group by 1),
+shares(s, alpha, bound) as (values {shares}),
+parts as (select s, alpha, h < bound as plain, other as block, count(*) as n from k, shares group by all),
+names(scheme, alpha) as (values {names}),
+grid as (select scheme, alpha, s, w, unnest([{", ".join(map(str, DELAYS))}]::double[]) as times from names, (values (1), (2)) a(s), generate_series(0, {N - 1}) b(w)),
+held as (select scheme, alpha, s, w, times, j from grid, generate_series(0, {N - 1}) c(j)
+  where case when scheme in ('uncoded', 'drop_s') then j = w when scheme = 'full_copy' then true
+    when scheme like '%block' then j // (s + 1) = w % ({N} // (s + 1)) else (j - w + {N}) % {N} <= s end),
+load as (select scheme, h.alpha, h.s, w, times, sum(case when h.alpha = 0 then o.n else p.n end) as n from held h
+  left join whole o on h.alpha = 0 and o.block = j left join parts p on p.s = h.s and p.alpha = h.alpha and not p.plain and p.block = j group by all),
+late as (select r, w, ss, row_number() over (partition by r, ss order by {hashing.sql_number("'delay-' || r || '-' || w")}, w) <= ss as late
+  from generate_series(0, {ROUNDS - 1}) a(r), generate_series(0, {N - 1}) b(w), (values (1), (2)) c(ss)),
+cells as (select scheme, l.alpha, l.s, times, r, l.w, late::int * times * ({typical}) as extra,
+    coalesce(p.n, 0) * {c.row_ms}::double + {send + c.latency_ms}::double as first, (coalesce(p.n, 0) + l.n) * {c.row_ms}::double + (case when l.alpha > 0 then 2 else 1 end) * {send}::double + {c.latency_ms}::double as last
+  from load l join late on late.ss = l.s and late.w = l.w left join parts p on p.s = l.s and p.alpha = l.alpha and p.plain and p.block = l.w, size),
+ranked as (select *, row_number() over (partition by scheme, alpha, s, times, r order by last + extra, w) as place from cells)
+select scheme, s::int as s, alpha, times as delay_of_round, r::int as round,
+  round(greatest(max(case when place = case when scheme = 'uncoded' then {N} when scheme = 'full_copy' then 1 else {N} - s end then last + extra end),
+    max(case when alpha > 0 then first + extra end)), 6) as round_ms
+from ranked group by all"""
+
+
+QUERIES["artificial_round_times"] = artificial_round_times
+ORACLES["artificial_round_times"] = _artificial_sql()
+
+
+def artificial_run_times(spark, sf_dir):
+    """``artificial_round_times`` as means and deviations."""
+    t = artificial_round_times(spark, sf_dir)
+    return t.groupBy("scheme", "s", "alpha", "delay_of_round").agg(F.round(F.avg("round_ms") + 1.23e-7, 4).alias("mean_ms"), F.round(F.stddev_samp("round_ms"), 4).alias("std_ms"))
 
 
 QUERIES["artificial_run_times"] = artificial_run_times
+ORACLES["artificial_run_times"] = f"select scheme, s, alpha, delay_of_round, round(avg(round_ms) + 1.23e-7, 4) as mean_ms, round(stddev_samp(round_ms), 4) as std_ms from ({_artificial_sql()}) group by all"
+
+
+def artificial_training(spark, sf_dir, rounds: int = 4):
+    """The training itself: a logistic model on the mixture of two Gaussians (random centres,
+    p = 100), one of 12 workers late by two rounds, through each scheme's own placement."""
+    d = _size(spark, sf_dir)
+    samples = datasets.mixture_logistic(spark, d, P).persist()
+    late, out = Stragglers("additive", s=1, delay_ms=2 * (d / N * COSTS.row_ms + P * COSTS.float_ms + COSTS.latency_ms)), []
+    for name, alpha in (("uncoded", 0.0), ("drop_s", 0.0), ("block", 0.0), ("ring", 0.0), ("two_stage_ring", 2.0)):
+        make = optim.DecayGD(P, 2.0, 10.0) if name == "drop_s" else optim.NAG(P, 0.2)
+        done = train.fit(samples, "key", schemes.build(name, N, 0 if name == "uncoded" else 1, alpha or 1.5), Logistic(), make, rounds, late, COSTS)
+        out += [(name, alpha, r["round"], r["round_ms"], r["cum_ms"], r["share"], r["gradient_error"]) for r in done.trace]
+    samples.unpersist()
+    return spark.createDataFrame(out, "scheme string, alpha double, round int, round_ms double, cum_ms double, share double, gradient_error double")
+
+
+QUERIES["artificial_training"] = artificial_training
 
 
 def sparse_round_times(spark, sf_dir):
@@ -91,24 +152,48 @@ def sparse_round_times(spark, sf_dir):
 QUERIES["sparse_round_times"] = sparse_round_times
 
 
-def auc_by_time(spark, sf_dir, rounds: int = 20):
-    """Toxic documents, p = 4096 words: holdout AUC against virtual time of exact schemes
-    with accelerated descent and of drop-s with a decaying rate, n = 10, s = 1.  Sending
-    costs more than computing, as was found on the real clusters."""
-    p, n, s = 4096, 10, 1
+def auc_by_time(spark, sf_dir, rounds: int = 30):
+    """Toxic documents, p = 4096 words, n = 10, 20, 30 workers, one late: holdout AUC against
+    virtual time of exact schemes with accelerated descent and of drop-s with a decaying rate.
+    Sending costs more than computing, as was found on the real clusters.
+
+    Exact schemes make the same steps whatever their code, so these are made once; when their
+    rounds end follows from each one's placement.  All models are scored in one scan."""
+    p, s = 4096, 1
     d = datasets.document_tokens(spark, sf_dir, "toxic", p).persist()
-    fitted, held = d.where("not holdout").select("row_id", "key", "y", "xs"), d.where("holdout").select("y", "xs").toPandas()
-    owner = np.repeat(np.arange(len(held)), held["xs"].map(len))
-    idx = np.concatenate([[e["idx"] for e in xs] for xs in held["xs"]]).astype(int) if len(held) else np.empty(0, int)
-    late, out = Stragglers("additive", s=s, delay_ms=400.0), []
-    runs = (("uncoded", 0, lambda: optim.NAG(p, 0.3, L2(1e-4))), ("ring", s, lambda: optim.NAG(p, 0.3, L2(1e-4))), ("block", s, lambda: optim.NAG(p, 0.3, L2(1e-4))), ("drop_s", s, lambda: optim.DecayGD(p, 6.0, 20.0, L2(1e-4))))
-    for name, tolerated, make in runs:
-        done = train.fit(fitted, "key", schemes.build(name, n, tolerated), Logistic(), make(), rounds, late, Costs(row_ms=0.05, float_ms=0.02), kernel="sparse", keep_betas=True)
-        for row, beta in zip(done.trace, done.betas, strict=True):
-            score = np.bincount(owner, weights=beta[idx], minlength=len(held))
-            out.append((name, row["round"], row["cum_ms"], row["share"], row["gradient_error"], metrics.auc_np(score, held["y"].to_numpy())))
+    fitted, held = d.where("not holdout").select("row_id", "key", "y", "xs"), d.where("holdout").select("y", "xs")
+    late, costs, rows, betas = Stragglers("additive", s=s, delay_ms=400.0), Costs(row_ms=0.05, float_ms=0.02), [], []
+    exact = train.fit(fitted, "key", schemes.build("ring", 10, s), Logistic(), optim.NAG(p, 0.3, L2(1e-4)), rounds, late, costs, kernel="sparse", keep_betas=True)
+    betas += exact.betas
+    for n in (10, 20, 30):
+        counts = train._counts(placement.assign_blocks(fitted, F.col("key"), n), n)
+        for name, tolerated in (("uncoded", 0), ("ring", s), ("block", s)):
+            scheme, total = schemes.build(name, n, tolerated), 0.0
+            for t in range(rounds):
+                total += scheme.round(np.broadcast_to(np.zeros(1), (n, p)), counts, late.of_round(t, n), costs).round_ms
+                rows.append((name, n, t + 1, total, 1.0, exact.trace[t]["gradient_error"], t))
+        dropped = train.fit(fitted, "key", schemes.build("drop_s", n, s), Logistic(), optim.DecayGD(p, 6.0, 20.0, L2(1e-4)), rounds, late, costs, kernel="sparse", keep_betas=True)
+        rows += [("drop_s", n, r["round"], r["cum_ms"], r["share"], r["gradient_error"], len(betas) + t) for t, r in enumerate(dropped.trace)]
+        betas += dropped.betas
+    models = spark.sparkContext.broadcast(np.stack(betas, 1))
+
+    @F.arrow_udf("array<double>")
+    def scores(xs: pa.Array) -> pa.Array:
+        flat, sizes = xs.flatten(), xs.value_lengths().fill_null(0).to_numpy()
+        out = np.zeros((len(xs), models.value.shape[1]))
+        np.add.at(out, np.repeat(np.arange(len(xs)), sizes), models.value[flat.field("idx").to_numpy()] * flat.field("val").to_numpy(zero_copy_only=False)[:, None])
+        return pa.FixedSizeListArray.from_arrays(pa.array(out.ravel()), out.shape[1]).cast(pa.list_(pa.float64()))
+
+    auc = metrics.auc(held.select("y", F.posexplode(scores("xs")).alias("model", "score")), by=("model",))
+    timed = spark.createDataFrame(rows, "scheme string, n int, round int, cum_ms double, share double, gradient_error double, model int")
+    out = _materialised(timed.join(auc.select("model", "auc"), "model").drop("model"))
     d.unpersist()
-    return spark.createDataFrame(out, "scheme string, round int, cum_ms double, share double, gradient_error double, auc double")
+    return out
+
+
+def _materialised(small):
+    """A few rows on the driver, so that what they were made from can go."""
+    return small.sparkSession.createDataFrame(small.collect(), small.schema)
 
 
 QUERIES["auc_by_time"] = auc_by_time
@@ -190,3 +275,62 @@ def approximate_error(spark, sf_dir):
 
 
 QUERIES["approximate_error"] = approximate_error
+
+
+def single_job_round(spark, sf_dir):
+    """The baseline of one Spark job, whose slowest task sets the pace."""
+    folder = shared_folder(spark)
+    placement.write_blocks(placement.assign_blocks(datasets.lineitem_integer(spark, sf_dir), F.col("key"), 4), folder, 4)
+    done = live.run_round_single_job(spark, folder, Logistic(), np.zeros(4), INTEGER)
+    shutil.rmtree(folder.removeprefix("file://"), ignore_errors=True)
+    return spark.createDataFrame([tuple(float(round(v, 3)) + 0.0 for v in done.gradient)], "g1 double, g2 double, g3 double, g4 double")
+
+
+QUERIES["single_job_round"] = single_job_round
+ORACLES["single_job_round"] = ORACLES["live_round_ring"]
+
+
+def wire_bytes(spark, sf_dir):
+    """Bytes that the master takes in a round, by scheme and number of weights."""
+    rows = []
+    for name, s in (("uncoded", 0), ("drop_s", 1), ("block", 1), ("ring", 1), ("full_copy", 11), ("feedback_replica", 1), ("two_stage_ring", 1)):
+        scheme, p = schemes.build(name, 12, s, 2.0), 4
+        g, n = np.zeros((12, p)), np.ones(12)
+        done = scheme.round(g, g, n, n, Stragglers().of_round(0, 12)) if name.startswith("two") else scheme.round(g, n, Stragglers().of_round(0, 12))
+        rows += [(name, p, done.vectors, done.control, metrics.bytes_on_wire(done.vectors, p, done.control)) for p in (100, 241_915, 500_000)]
+    return spark.createDataFrame(rows, "scheme string, p int, vectors int, control int, bytes bigint")
+
+
+QUERIES["wire_bytes"] = wire_bytes
+ORACLES["wire_bytes"] = """
+with t(scheme, vectors, control) as (values ('uncoded', 12, 0), ('drop_s', 11, 0), ('block', 11, 0), ('ring', 11, 0), ('full_copy', 1, 0), ('feedback_replica', 11, 22), ('two_stage_ring', 23, 0))
+select scheme, p::int as p, vectors::int as vectors, control::int as control, (8 * p * vectors + 16 * control)::bigint as bytes from t, (values (100::bigint), (241915), (500000)) q(p)"""
+
+
+def decode_work(spark, sf_dir):
+    """Decoding rows solved and taken from memory in 40 rounds: lasting stragglers need one."""
+    rows = []
+    for kind, late in (("lasting", Stragglers("sticky", s=2, fixed=(3, 7), delay_ms=50.0)), ("none", Stragglers())):
+        scheme = schemes.build("ring", 12, 2)
+        for t in range(40):
+            scheme.round(np.zeros((12, 4)), np.arange(1.0, 13.0), late.of_round(t, 12))
+        rows.append((kind, scheme.decoder.solved, scheme.decoder.hits))
+    return spark.createDataFrame(rows, "stragglers string, solved int, from_memory int")
+
+
+QUERIES["decode_work"] = decode_work
+ORACLES["decode_work"] = "select k as stragglers, 1::int as solved, 39::int as from_memory from (values ('lasting'), ('none')) t(k)"
+
+
+def code_growth(spark, sf_dir):
+    """Growth of rounding errors and worst residual, of the first draw and the best of 16."""
+    rows = []
+    for n, s in ((6, 2), (12, 1), (12, 2), (12, 3), (20, 2), (30, 2)):
+        for select in ("first", "best"):
+            code = codes.ring_code(n, s, select=select)
+            ok, worst, _, checked = decode.span_check(code)
+            rows.append((n, s, select, codes.growth(code), worst, checked, ok))
+    return spark.createDataFrame(rows, "n int, s int, draw string, growth double, residual double, patterns_checked int, ok boolean")
+
+
+QUERIES["code_growth"] = code_growth

@@ -17,7 +17,7 @@ from evenkeel.sources import pyds
 from evenkeel.streaming import mailbox
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"auc_by_time", "sparse_round_times", "recovered_model", "artificial_run_times"}
+SLOW = {"auc_by_time", "sparse_round_times", "recovered_model"}
 
 
 @pytest.fixture(scope="module")
