@@ -556,13 +556,22 @@ def test_audio_candidates_equal_brute_force(spark):
     lists[90] = np.full(50, 3, dtype=np.int32)  # the same landmarks again and again
     marks = {i: {(g, *x[[k, k + g]].tolist()) for g in range(1, s.reach + 1) for k in range(len(x) - g)} for i, x in lists.items()}
     want = {(i, j) for i in lists for j in lists if i > j and len(marks[i] & marks[j]) >= s.landmarks}
-    frame = spark.createDataFrame([(i, x.tolist()) for i, x in lists.items()], "rid bigint, prints array<int>")
+    short = audio.shorten(np.concatenate(list(lists.values())), np.append(0, np.cumsum([len(x) for x in lists.values()])))
+    frame = spark.createDataFrame([(i, len(x), bytearray(b)) for (i, x), b in zip(lists.items(), short, strict=True)], "rid bigint, frames int, prints binary")
     rows = [(r.short_id, r.long_id) for r in audio.candidates(frame, s).collect()]
     got = [(max(p), min(p)) for p in rows]
     assert len(got) == len(set(got)) and set(got) == want
     assert all((len(lists[a]), -a) <= (len(lists[b]), -b) for a, b in rows)
 
 
+@given(st.lists(st.lists(st.integers(-(2**31), 2**31 - 1) | st.integers(0, 3), max_size=12), max_size=6))
+@settings(max_examples=60, deadline=None)
+def test_audio_integers_are_shortened_without_loss(lists):
+    flat, first = np.array([v for x in lists for v in x], dtype=np.int32), np.append(0, np.cumsum([len(x) for x in lists])).astype(int)
+    for x, raw in zip(lists, audio.shorten(flat, first), strict=True):
+        assert audio.lengthen(raw, len(x)).tolist() == x
+
+
 def test_audio_integers_do_not_depend_on_the_batch(small, spark):
     texts = [r.text for r in spark.read.parquet(f"{small}/documents.parquet").orderBy("doc_id").limit(60).collect()]
     flat, first = audio.fingerprints_of(*_bytes.buffers(pa.array(texts)))
