@@ -8,6 +8,7 @@ capitals count as small letters.  All words of a block are hashed at once: with
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -138,3 +139,17 @@ def pieces(texts: pa.Array, limit: int = BLOCK) -> Iterator[pa.Array]:
         to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + limit, side="right")) - 1)
         yield texts[at:to]
         at = to
+
+
+try:
+    _trim = ctypes.CDLL(None).malloc_trim
+except AttributeError:  # not glibc
+    _trim = None
+
+
+def give_back() -> None:
+    """Memory that is free in this process goes back to the machine: a worker waits for its next
+    task without what the last one took."""
+    pa.default_memory_pool().release_unused()
+    if _trim:
+        _trim(0)

@@ -41,9 +41,10 @@ class Settings:
     #: Ranks file: a base64 token and its rank a line.
     vocabulary: str = "/opt/tokenizers/byte_bpe_50k.tiktoken"
     pattern: str = PATTERN
-    #: Words, and transducer states, that a worker keeps at most; then it begins anew.
-    kept_words: int = 250_000
-    kept_states: int = 200_000
+    #: Words, and transducer states, that a worker keeps at most: the first ones, among which
+    #: are the common ones; others are computed whenever they occur.  It changes no result.
+    kept_words: int = 150_000
+    kept_states: int = 120_000
 
 
 class Vocabulary:
@@ -136,9 +137,9 @@ class Transducer:
         # A state goes by 256 times its number. A step that emits nothing is the next state alone.
         self.steps: dict[int, int | tuple[int, tuple[int, ...]]] = {}
 
-    def _step(self, state: int, byte: int) -> int | tuple[int, tuple[int, ...]]:
-        v, after, done = self.v, [], None
-        for last, node, pending in self.branches[state >> 8]:
+    def _step(self, state: int | tuple, byte: int) -> int | tuple[int, tuple[int, ...]]:
+        v, after, done, kept = self.v, [], None, state.__class__ is int
+        for last, node, pending in self.branches[state >> 8] if kept else state:
             child = v.children[node].get(byte)
             if child is None:
                 continue
@@ -157,10 +158,14 @@ class Transducer:
         key = tuple((t, n, p[agreed:]) for t, n, p in after)
         to = self.number.get(key)
         if to is None:
+            if not kept or len(self.branches) >= self.kept_states:
+                return key, first[:agreed]  # a state that is not kept goes by its branches
             to = self.number[key] = len(self.branches) << 8
             self.branches.append(key)
             self.final.append(key[-1][2])
-        self.steps[state | byte] = made = (to, first[:agreed]) if agreed else to
+        made = (to, first[:agreed]) if agreed else to
+        if kept:
+            self.steps[state | byte] = made
         return made
 
     def feed(self, state: int, data: bytes) -> tuple[int, list[int]]:
@@ -168,7 +173,7 @@ class Transducer:
         out: list[int] = []
         steps = self.steps
         for byte in data:
-            made = steps.get(state | byte)
+            made = steps.get(state | byte) if state.__class__ is int else None
             if made is None:
                 made = self._step(state, byte)
             if made.__class__ is int:
@@ -179,10 +184,8 @@ class Transducer:
         return state, out
 
     def encode(self, word: bytes) -> list[int]:
-        if len(self.branches) > self.kept_states:
-            self._begin()
         state, out = self.feed(0, word)
-        out += self.final[state >> 8]
+        out += self.final[state >> 8] if state.__class__ is int else state[-1][2]
         return out
 
 
@@ -200,14 +203,15 @@ class Encoder(dict):
     def __missing__(self, word: str) -> int:
         self.flat.extend(self.transducer.encode(word.encode()))
         self.starts.append(len(self.flat))
-        self[word] = number = len(self.starts) - 2
+        number = len(self.starts) - 2
+        if len(self) < self.settings.kept_words:
+            self[word] = number
         return number
 
     def encode_all(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """All tokens, and where each text's tokens begin."""
-        if len(self) > self.settings.kept_words:
-            self.clear()
-            self.flat, self.starts = array("i"), array("q", [0])
+        del self.starts[len(self) + 1 :]  # words of the last texts that are not kept
+        del self.flat[self.starts[-1] :]
         numbers, counts = array("q"), [0]
         for t in texts:
             if t:
@@ -329,6 +333,7 @@ def _encoded(settings: Settings):
                 yield pa.StructArray.from_arrays([lists, pa.array(same, pa.bool_())], ["tokens", "round_trip"])
             if not len(texts):
                 yield pa.array([], kind)
+            _bytes.give_back()
 
     return run
 

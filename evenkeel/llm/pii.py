@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evenkeel.llm import _store
+from evenkeel.llm import _bytes, _store
 
 ROUNDS = 8
 
@@ -292,7 +292,10 @@ def _udf(settings: Settings):
     def replace(texts: pa.Array) -> pa.Array:
         feistel = Feistel(settings.key)
         done = [(None, None) if t is None else pseudonymise(t, feistel) for t in texts.to_pylist()]
-        return pa.StructArray.from_arrays([pa.array([d[0] for d in done], pa.string()), pa.array([d[1] for d in done], pa.int32())], ["text", "n"])
+        made = pa.StructArray.from_arrays([pa.array([d[0] for d in done], pa.string()), pa.array([d[1] for d in done], pa.int32())], ["text", "n"])
+        del done
+        _bytes.give_back()
+        return made
 
     return replace
 

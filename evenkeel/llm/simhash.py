@@ -83,6 +83,7 @@ def hash_bytes(raw: np.ndarray) -> int:
 @F.arrow_udf(T.StructType([T.StructField("hi", T.LongType()), T.StructField("lo", T.LongType())]))
 def _fingerprint(texts: pa.Array) -> pa.Array:
     fp, there = fingerprints(texts)
+    _bytes.give_back()
     return pa.StructArray.from_arrays([pa.array(fp[:, 0]), pa.array(fp[:, 1])], ["hi", "lo"], mask=pa.array(~there))
 
 

@@ -232,7 +232,9 @@ def _scored(docs: DataFrame, model: Model, settings: Settings, name: str) -> Dat
 
     @F.arrow_udf(_SCORE)
     def judge(texts: pa.Array) -> pa.Array:
-        return score(texts, held.value, settings.sentence_threshold)
+        scored = score(texts, held.value, settings.sentence_threshold)
+        _bytes.give_back()
+        return scored
 
     return docs.withColumn(name, judge(F.col("text")))
 

@@ -130,6 +130,15 @@ def test_bpe_round_trip(pair, text):
     assert "".join(d.feed([t]) for t in tokens) + d.finish() == text
 
 
+def test_bpe_does_not_depend_on_what_is_kept(pair, spark, small):
+    own, _ = pair
+    few = bpe.Encoder(bpe.Settings(kept_words=5, kept_states=40), own.vocabulary)
+    texts = [r.text for r in spark.read.parquet(f"{small}/documents.parquet").select("text").limit(40).collect()]
+    for part in (texts[:20], texts[20:], texts[:20]):
+        assert few.encode_all(part)[0].tolist() == own.encode_all(part)[0].tolist()
+    assert len(few) == 5 and len(few.transducer.branches) == 40
+
+
 def test_transducer_emits_before_the_end(pair):
     own, _ = pair
     word = b"the" * 400
