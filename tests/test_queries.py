@@ -84,6 +84,17 @@ def test_stream_equals_batch_in_any_order(spark, tmp_path, seed):
     assert all(np.allclose(r["g"], g.sum(axis=0), atol=1e-7) for r in out)
 
 
+@pytest.mark.parametrize("mode", ["append", "complete"])
+def test_stream_results_do_not_come_to_the_driver(spark, tmp_path, mode):
+    for i in range(3):
+        spark.range(10 * i, 10 * i + 10).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("id bigint").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    out = finish(stream if mode == "append" else stream.groupBy((stream.id % 7).alias("id")).count(), mode)
+    assert "LocalTableScan" not in (plan := out._jdf.queryExecution().executedPlan().toString()) and "parquet" in plan
+    want = [(i,) for i in range(30)] if mode == "append" else [(k, len(range(k, 30, 7))) for k in range(7)]
+    assert sorted(map(tuple, out.collect())) == want
+
+
 def test_python_sources(spark):
     pyds.register(spark)
     a = spark.read.format("mixture_logistic").option("d", 3000).option("p", 4).option("partitions", 3).load()
