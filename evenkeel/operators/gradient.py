@@ -5,6 +5,7 @@ array    features are an array column; SQL only (p up to ~64)
 arrow    features are an array column; one matrix product a batch (p from ~32)
 sparse   features are (index, value) pairs; the model is an array that is broadcast up
          to ``broadcast_limit`` bytes and a table joined by index beyond it
+counted  features are indicators; samples that are alike are one row with their number by block
 
 Samples have ``block`` and ``y``.  A sample with a null label or feature, or null features, is
 left out by each of them (``complete`` does so beforehand, for counts).  Only one partial vector a task and block leaves the
@@ -34,6 +35,8 @@ def kernel_for(p: int, sparse: bool = False) -> str:
 def complete(samples: DataFrame, kernel: str, columns: Sequence[str] = ()) -> DataFrame:
     """The samples that take part in gradients."""
     there = F.col("y").isNotNull()
+    if kernel == "counted":
+        return samples.where(there)
     if kernel == "wide":
         for c in columns:
             there &= F.col(c).isNotNull()
@@ -129,6 +132,36 @@ def partial_sparse(samples: DataFrame, loss, beta: np.ndarray, limit: int | None
     return each.groupBy("block", F.col("e.idx").alias("idx")).agg(F.sum(F.col("resid") * F.col("e.val")).alias("g"))
 
 
+def combined_counted(samples: DataFrame, loss, beta: np.ndarray, weights: np.ndarray, places: Sequence[tuple[np.ndarray, np.ndarray]]) -> DataFrame:
+    """idx (from 0), g (weighted by block) and exact of indicators, from samples that are alike in
+    one row: ``y``, ``code`` and ``counts`` by block.  ``places`` tells a code's indicators."""
+    p, held = len(beta), samples.sparkSession.sparkContext.broadcast((np.asarray(beta, dtype=float), np.asarray(weights, dtype=float), places))
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        (b, w, tables), total, seen = held.value, np.zeros((2, p)), np.zeros(p, dtype=bool)
+        for batch in batches:
+            code = batch.column("code").to_numpy()
+            at = np.empty((len(code), len(tables)), dtype=np.int32)
+            for j, (digits, table) in enumerate(tables):
+                spot = np.zeros(len(code), dtype=np.int64)
+                for step, size in digits:
+                    spot = spot * size + code // step % size
+                at[:, j] = table[spot]
+            at.sort(axis=1)
+            new = np.ones(at.shape, dtype=bool)  # places that two interactions share count once
+            new[:, 1:] = at[:, 1:] != at[:, :-1]
+            resid = loss.slope_np((b[at] * new).sum(axis=1), batch.column("y").to_numpy())
+            counts = batch.column("counts").flatten().to_numpy().reshape(len(code), len(w))
+            owner, flat = np.nonzero(new)[0], at[new]
+            seen[flat] = True
+            for k, many in enumerate((counts @ w, counts.sum(axis=1))):
+                total[k] += np.bincount(flat, weights=(resid * many)[owner], minlength=p)
+        idx = np.flatnonzero(seen)
+        yield pa.RecordBatch.from_arrays([pa.array(idx.astype(np.int32)), pa.array(total[0, idx]), pa.array(total[1, idx])], ["idx", "g", "exact"])
+
+    return samples.select("y", "code", "counts").mapInArrow(scan, "idx int, g double, exact double").groupBy("idx").agg(F.sum("g").alias("g"), F.sum("exact").alias("exact"))
+
+
 def partial_gradients(samples: DataFrame, loss, beta: np.ndarray, kernel: str, columns: Sequence[str] = ()) -> DataFrame:
     """block, idx, g by any kernel."""
     if kernel == "wide":

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from itertools import combinations
+from functools import reduce
+from itertools import combinations, product
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -124,6 +125,40 @@ def star_one_hot(spark: SparkSession, sf_dir: str, p: int = ONE_HOT) -> DataFram
     return d.select(_row_key().alias("key"), (F.col("l_returnflag") == "R").cast("double").alias("y"), xs.alias("xs"))
 
 
+#: Tables that the categories come from.
+_HOLDERS = {"p_brand": "part", "p_type": "part", "n_name": "nation", "c_nationkey": "customer", "c_mktsegment": "customer", "o_orderpriority": "orders"}
+#: Values of a category, and combinations of values in all interactions, up to which places are
+#: tabulated; with more, each sample has a row of its own, with the same result.
+MOST_VALUES, MOST_PLACES = 50_000, 4_000_000
+
+
+def star_counted(spark: SparkSession, sf_dir: str, blocks: int, p: int = ONE_HOT) -> tuple[DataFrame, list[tuple[np.ndarray, np.ndarray]]] | None:
+    """``star_one_hot`` with samples of the same categories and label as one row: y, code, counts
+    (samples by block); and for each interaction, what to divide a code by and take the rest of
+    for each of its categories, and the places by their digits.  None if there are too many."""
+    values = []
+    for c in CATEGORIES:
+        found = read(spark, sf_dir, _HOLDERS[c]).select(F.col(c).cast("string").alias("v")).where("v is not null").distinct().limit(MOST_VALUES + 1).collect()
+        if len(found) > MOST_VALUES:
+            return None
+        values.append(sorted(r["v"] for r in found))
+    sizes = [len(v) + 1 for v in values]  # the first is for null
+    if sum(int(np.prod([float(sizes[CATEGORIES.index(c)]) for c in t])) for t in INTERACTIONS) > MOST_PLACES or np.prod([float(n) for n in sizes]) >= 2**62:
+        return None
+    steps = [int(np.prod(sizes[:i], dtype=object)) if i else 1 for i in range(len(sizes))]
+    places = []
+    for t in INTERACTIONS:
+        at = [CATEGORIES.index(c) for c in t]
+        names = [[c, *(f"{c}={v}" for v in values[i])] for c, i in zip(t, at, strict=True)]
+        table = np.fromiter((hashing.md5_number_py("|".join(x)) % p for x in product(*names)), dtype=np.int32)
+        places.append((np.array([(steps[i], sizes[i]) for i in at], dtype=np.int64), table))
+    digits = [F.coalesce(F.array_position(F.lit(v) if v else F.array().cast("array<string>"), F.col(c).cast("string")), F.lit(0).cast("bigint")) * n for c, v, n in zip(CATEGORIES, values, steps, strict=True)]
+    d = star(spark, sf_dir).where("l_returnflag is not null")
+    d = d.select(reduce(lambda a, b: a + b, digits).alias("code"), (F.col("l_returnflag") == "R").cast("double").alias("y"), hashing.block_of(_row_key(), blocks).alias("block"))
+    one = d.groupBy("code", "y").agg(*[F.count_if(F.col("block") == b).alias(f"n{b}") for b in range(blocks)])
+    return one.select("y", "code", F.array(*[f"n{b}" for b in range(blocks)]).alias("counts")), places
+
+
 def embeddings_dense(spark: SparkSession, sf_dir: str, label: int = 0) -> DataFrame:
     e = read(spark, sf_dir, "embeddings")
     return e.select(F.col("vec_id").alias("key"), (F.col("label") == label).cast("double").alias("y"), F.col("embedding").cast("array<double>").alias("x"))
