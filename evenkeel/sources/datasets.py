@@ -77,6 +77,48 @@ def mixture_logistic(spark: SparkSession, d: int, p: int, seed: int = 1, partiti
     return x.select("key", "x", (u < 1 / (1 + F.exp(2 * margin))).cast("double").alias("y"))
 
 
+_P1, _P2, _P3, _P4, _P5 = (np.uint64(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
+
+
+def _turn(x: np.ndarray, bits: int) -> np.ndarray:
+    return x << np.uint64(bits) | x >> np.uint64(64 - bits)
+
+
+def _final(h: np.ndarray) -> np.ndarray:
+    h = (h ^ h >> np.uint64(33)) * _P2
+    h = (h ^ h >> np.uint64(29)) * _P3
+    return h ^ h >> np.uint64(32)
+
+
+def _with_long(seed: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """Spark's xxhash64 carried on by a long."""
+    h = seed + _P5 + np.uint64(8) ^ _turn(x.astype(np.uint64) * _P2, 31) * _P1
+    return _final(_turn(h, 27) * _P1 + _P4)
+
+
+def _with_int(seed: np.ndarray, x: np.ndarray) -> np.ndarray:
+    h = seed + _P5 + np.uint64(4) ^ x.astype(np.uint64) * _P1
+    return _final(_turn(h, 23) * _P2 + _P3)
+
+
+def mixture_heads(spark: SparkSession, seed: int = 1) -> np.ndarray:
+    """Where the hashes of ``mixture_samples`` begin."""
+    row = spark.range(1).select(*[F.xxhash64(F.lit(f"{seed}{tag}")) for tag in ("a", "b", "side", "label")]).first()
+    return np.array(row, dtype=np.int64).view(np.uint64)
+
+
+def mixture_samples(ids: np.ndarray, p: int, heads: np.ndarray, seed: int = 1) -> tuple[np.ndarray, np.ndarray]:
+    """x and y of ``mixture_logistic`` for some ids, made where they are needed: at p = 100 they take
+    eight hundred bytes a sample and so are not kept."""
+    beta, low = true_beta(p, seed), np.uint64((1 << 40) - 1)
+    drawn = np.random.default_rng([seed, 2]).standard_normal((2, p))
+    with np.errstate(over="ignore"):
+        a, b, side, label = (_with_long(np.full(len(ids), h), ids) for h in heads)
+        u, v = (((_with_int(h[:, None], np.arange(1, p + 1)[None]) & low).astype(float) + 0.5) / float(1 << 40) for h in (a, b))
+    x = np.sqrt(-2 * np.log(u)) * np.cos(v * float(2 * np.pi)) + drawn[(side & np.uint64(1)).astype(int)]
+    return x, (((label & low).astype(float) + 0.5) / float(1 << 40) < 1 / (1 + np.exp(2 * (x @ beta)))).astype(float)
+
+
 def true_beta(p: int, seed: int = 1) -> np.ndarray:
     return np.random.default_rng(seed).standard_normal(p) / np.sqrt(p)
 
