@@ -27,7 +27,7 @@ from evenkeel.llm import _store
 MOST_BROADCAST = 50_000
 #: Labelled documents up to which their weights are broadcast; with more, documents are
 #: shuffled once on their way to ``mix``.
-MOST_LABELS = 1_000_000
+MOST_LABELS = 200_000
 
 
 @dataclass(frozen=True)

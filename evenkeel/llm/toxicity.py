@@ -224,7 +224,9 @@ def train(docs: DataFrame, labels: DataFrame, settings: Settings = Settings()) -
         chosen = part if chosen is None else chosen.unionByName(part)
     ids = F.broadcast(chosen)  # bounded by the settings
     rows = docs.select("doc_id", "text").where("text is not null").join(ids, "doc_id").orderBy("doc_id").toPandas()
-    return fit(rows["text"].tolist(), rows["toxic"].to_numpy(), settings)
+    model = fit(rows["text"].tolist(), rows["toxic"].to_numpy(), settings)
+    _bytes.give_back()
+    return model
 
 
 def _scored(docs: DataFrame, model: Model, settings: Settings, name: str) -> DataFrame:
