@@ -3,6 +3,7 @@ subpackage; streams whatever the order of messages."""
 
 import subprocess
 import sys
+from pathlib import Path
 
 import duckdb
 import numpy as np
@@ -100,3 +101,15 @@ def test_python_sources(spark):
     a = spark.read.format("mixture_logistic").option("d", 3000).option("p", 4).option("partitions", 3).load()
     b = spark.read.format("mixture_logistic").option("d", 3000).option("p", 4).option("partitions", 7).load()
     assert a.count() == 3000 and a.exceptAll(b).count() == 0
+
+
+def test_dedup_state_is_not_on_the_heap(spark, small, monkeypatch):
+    """Its checkpoint has files of the store on disk, and the session's settings are as before."""
+    from evenkeel.plans import stream_queries
+
+    kept = []
+    monkeypatch.setattr(stream_queries.shutil, "rmtree", lambda folder, **_: kept.append(folder))
+    assert stream_queries.stream_dedup(spark, small).count()
+    files = [p.name for p in Path(kept[0]).rglob("state/**/*")]
+    assert any(f.endswith((".zip", ".changelog")) for f in files) and not any(f.endswith(".delta") for f in files)
+    assert all(spark.conf.get(k, None) != v for k, v in stream_queries.STATE.items() if k.endswith(("providerClass", "boundedMemoryUsage")))
